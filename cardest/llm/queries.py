@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from fractions import Fraction
+
 from pyspark.sql import DataFrame, SparkSession
 
-from cardest.llm import exact, mixing, packing, pii, sharding, tokens
+from cardest.llm import exact, mixing, ngrams, packing, pii, sharding, tokens, vectors
 
 
 def vocabulary(name: str) -> str:
@@ -31,6 +33,10 @@ def op3_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), capacity=2048)
 
 
+def op4_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vectors.near_vectors(table(spark, sf_dir, "embeddings"), threshold=0.95)
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact.exact_duplicates(table(spark, sf_dir, "documents"))
 
@@ -43,7 +49,11 @@ def op7_count_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.count_tokens(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), limit=2048)
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_pii, op3_harmonic_packing, op5_exact_dedup, op6_minimax_shards, op7_count_tokens)}
+def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngrams.near_copies(table(spark, sf_dir, "documents"), n=4, threshold=Fraction(85, 100))
+
+
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_pii, op3_harmonic_packing, op4_near_vectors, op5_exact_dedup, op6_minimax_shards, op7_count_tokens, op10_ngram_join)}
 
 _SOURCES_SQL = """
 sizes as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::bigint as size from documents),
@@ -81,5 +91,23 @@ with t as (select doc_id, regexp_replace(coalesce(text, ''), '[\\x20\\x09-\\x0D]
 select doc_id, min(doc_id) over (partition by x) as keep_id, count(*) over (partition by x) as group_size,
   (doc_id is not distinct from min(doc_id) over (partition by x)) and row_number() over (partition by x, doc_id order by doc_id) = 1 as kept,
   sha256(x) as text_sha256 from t
+""",
+    "op4_near_vectors": """
+with recursive v as (select vec_id, embedding::double[] as e from embeddings),
+l as (select a.vec_id as a, b.vec_id as b from v a join v b on a.vec_id <> b.vec_id where list_cosine_similarity(a.e, b.e) >= 0.95),
+r(a, b) as (select vec_id, vec_id from v union select r.a, l.b from r join l on r.b = l.a),
+c as (select a, min(b) as component_id from r group by a)
+select v.vec_id, (select count(*) from l where l.a = v.vec_id)::bigint as n_links, c.component_id, v.vec_id = c.component_id as kept
+from v join c on c.a = v.vec_id
+""",
+    "op10_ngram_join": """
+with recursive w as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') as w from documents),
+g as (select doc_id, list_distinct(case when len(w) = 0 then [] when len(w) < 4 then [array_to_string(w, ' ')]
+   else list_transform(range(1, len(w) - 2), lambda i: array_to_string(w[i:i + 3], ' ')) end) as g from w),
+s as (select doc_id, len(g)::bigint as n, unnest(g) as x from g),
+p as (select a.doc_id as a, b.doc_id as b, count(*) as m, any_value(a.n) as na, any_value(b.n) as nb from s a join s b on a.x = b.x and a.doc_id <> b.doc_id group by 1, 2),
+l as (select a, b from p where 100 * m >= 85 * (na + nb - m)),
+r(a, b) as (select doc_id, doc_id from w union select r.a, l.b from r join l on r.b = l.a)
+select g.doc_id, len(g.g)::bigint as n_shingles, (select min(b) from r where r.a = g.doc_id) as component_id from g
 """,
 }
