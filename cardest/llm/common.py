@@ -98,3 +98,13 @@ def _small_star(links: DataFrame) -> DataFrame:
     least = links.groupBy("hi").agg(F.min("lo").alias("m"))
     moved = links.join(least, "hi").where("lo <> m").select(F.col("lo").alias("hi"), F.col("m").alias("lo"))
     return moved.unionByName(least.select("hi", F.col("m").alias("lo"))).distinct()
+
+
+#: Identifiers that may be broadcast to drop rows without moving texts: 8 bytes each.
+BROADCAST_IDS = 2_000_000
+
+
+def without(docs: DataFrame, dropped: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """``docs`` without the identifiers in ``dropped`` (one column, same name): broadcast up to a bound, shuffled beyond."""
+    dropped = stored(dropped.select(id_col).where(F.col(id_col).isNotNull()).distinct(), "dropped")
+    return docs.join(F.broadcast(dropped) if dropped.count() <= BROADCAST_IDS else dropped, id_col, "left_anti").select(*docs.columns)

@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from cardest.llm.common import BLANK, attach, salt, shared_dir
+from cardest.llm.common import BLANK, attach, salt, shared_dir, stored, without
 
 #: Parts into which a group of copies is dealt while it is verified.
 VERIFY_PARTS = 64
@@ -116,3 +116,16 @@ def verify_hits(base: DataFrame, index: DigestIndex) -> int:
     if seen["bad"]:
         raise RuntimeError(f"{seen['bad']} digests are shared by different texts")
     return seen["n"]
+
+
+def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that stay, with all columns. Of rows that repeat identifier and text one stays."""
+    found = stored(exact_duplicates(docs, id_col, text_col).select(F.col("doc_id").alias(id_col), "kept", "text_sha256"), "exact-found")
+    kept = found.where("kept").select(id_col)
+    out = without(docs, found.where("not kept").select(id_col).join(kept, id_col, "left_anti"), id_col)
+    if found.groupBy(id_col).count().where("count > 1").isEmpty():
+        return out
+    turn = F.row_number().over(W.partitionBy(id_col, normalised(F.col(text_col))).orderBy(F.lit(1)))
+    stays = found.where("kept").select(F.col(id_col).alias("__id"), F.col("text_sha256").alias("__digest"))
+    out = out.select("*", turn.alias("__turn"), F.sha2(normalised(F.col(text_col)), 256).alias("__sha")).where("__turn = 1")
+    return out.join(stays, out[id_col].eqNullSafe(stays["__id"]) & (out["__sha"] == stays["__digest"]), "left_semi").select(*docs.columns)

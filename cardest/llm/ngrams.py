@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from cardest.llm.common import attach, components, salt, stored
+from cardest.llm.common import attach, components, stored
 
 #: Width of the frequency sketch: two to this power of counters, whatever the data.
 SKETCH_BITS = 18

@@ -6,7 +6,7 @@ from fractions import Fraction
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cardest.llm import exact, mixing, ngrams, packing, pii, sharding, tokens, toxicity, vectors
+from cardest.llm import exact, mixing, ngrams, packing, pages, pii, sharding, tokens, toxicity, vectors
 
 
 def vocabulary(name: str) -> str:
@@ -54,11 +54,15 @@ def op8_score_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")), threshold=0.3)
 
 
+def op9_page_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pages.extract(table(spark, sf_dir, "pages"))
+
+
 def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngrams.near_copies(table(spark, sf_dir, "documents"), n=4, threshold=Fraction(85, 100))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_pii, op3_harmonic_packing, op4_near_vectors, op5_exact_dedup, op6_minimax_shards, op7_count_tokens, op8_score_toxicity, op10_ngram_join)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_pii, op3_harmonic_packing, op4_near_vectors, op5_exact_dedup, op6_minimax_shards, op7_count_tokens, op8_score_toxicity, op9_page_text, op10_ngram_join)}
 
 _SOURCES_SQL = """
 sizes as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::bigint as size from documents),

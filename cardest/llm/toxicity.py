@@ -18,7 +18,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Labelled training rows that are fitted on, by hash of the identifier; the only bound of the model.
@@ -283,3 +283,16 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
             yield out
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), held_out(id_col).alias("held_out"), F.col(text_col).alias("text")).mapInPandas(run, schema)
+
+
+def scorer(spark: SparkSession, model: ToxicityModel):
+    """A column function from text to score, for filters that must not move texts."""
+    shared = spark.sparkContext.broadcast(model)
+
+    @F.pandas_udf("double")
+    def toxic(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        restorer = Restorer(shared.value.language)
+        for texts in parts:
+            yield pd.Series([shared.value.score(restorer.words(t)) for t in texts], dtype="float64")
+
+    return toxic

@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cardest.llm.common import attach, components, salt, stored
+from cardest.llm.common import attach, components, stored
 
 #: Pivot directions: a bounded sample of the vectors, by hash of the identifier.
 PIVOTS = 64
