@@ -10,12 +10,12 @@ bounded size. So no link between two components is lost, and a group of n near c
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 from fractions import Fraction
 
 import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -26,8 +26,10 @@ from cardest.llm.common import attach, components, stored
 SKETCH_BITS = 18
 #: Members of a posting list that are compared in one block.
 BLOCK = 2048
-#: Words a Python worker remembers the hash of.
-WORDS = 400_000
+#: Names of documents a task remembers, to pass over their copies.
+SEEN = 400_000
+#: Pairs of one vectorised comparison.
+PAIRS = 2_000_000
 #: Documents whose identifiers may be broadcast to pick texts for verification: 8 bytes each.
 BROADCAST_IDS = 2_000_000
 #: Depth of the suffix filter's bisection.
@@ -37,31 +39,24 @@ _MIX = (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)
 
 
 class Shingler:
-    """Distinct n-grams of a text's words as sorted 64-bit hashes, and a 64-bit name of the whole word sequence."""
+    """Distinct n-grams of a text's words as sorted 64-bit hashes, and a 128-bit name of the whole word sequence."""
 
     def __init__(self, n: int, seed: int = 0) -> None:
-        self.n, self.seed, self.known = n, seed, {}
+        self.n, self.seed = n, seed
 
     def words(self, text: str | None) -> list[bytes]:
         """ASCII letters in lower case, cut at ASCII white space."""
         return (text or "").encode("utf-8", "surrogatepass").lower().split()
 
-    def name(self, words: list[bytes]) -> tuple[int, bytes]:
-        digest = hashlib.blake2b(b" ".join(words), digest_size=24, key=self.seed.to_bytes(8, "little")).digest()
-        return int.from_bytes(digest[:8], "little", signed=True), digest[8:]
+    def name(self, words: list[bytes]) -> tuple[int, int]:
+        """The 64-bit name of a node, and 64 more bits that tell two texts of one name apart."""
+        digest = xxhash.xxh3_128_intdigest(b" ".join(words), seed=self.seed)
+        return (digest & (2**64 - 1)) - 2**63, (digest >> 64) - 2**63
 
     def grams(self, words: list[bytes]) -> np.ndarray:
         if not words:
             return np.empty(0, dtype=np.uint64)
-        known = self.known
-        if len(known) > WORDS:
-            known.clear()
-        codes = np.empty(len(words), dtype=np.uint64)
-        for i, w in enumerate(words):
-            c = known.get(w)
-            if c is None:
-                c = known[w] = int.from_bytes(hashlib.blake2b(w, digest_size=8).digest(), "little")
-            codes[i] = c
+        codes = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words))
         n = min(self.n, len(words))
         a, b, c = (np.uint64(x) for x in _MIX)
         h = np.full(len(words) - n + 1, np.uint64(n), dtype=np.uint64)
@@ -151,9 +146,9 @@ def _read(base: DataFrame, n: int, seed: int) -> tuple[DataFrame, np.ndarray]:
             counters += np.bincount(np.concatenate([*slots, np.empty(0, np.int64)]), minlength=2**SKETCH_BITS)
             yield pd.DataFrame({"kind": 0, "doc_id": b["doc_id"].astype("Int64"), "node": nodes, "check": checks, "n_shingles": sizes})
         hit = np.flatnonzero(counters)
-        yield pd.DataFrame({"kind": 1, "doc_id": pd.array(hit, dtype="Int64"), "node": counters[hit], "check": None, "n_shingles": 0})
+        yield pd.DataFrame({"kind": 1, "doc_id": pd.array(hit, dtype="Int64"), "node": counters[hit], "check": 0, "n_shingles": 0})
 
-    out = stored(base.mapInPandas(run, "kind int, doc_id bigint, node bigint, check binary, n_shingles bigint"), "ngram-nodes")
+    out = stored(base.mapInPandas(run, "kind int, doc_id bigint, node bigint, check bigint, n_shingles bigint"), "ngram-nodes")
     counts = out.where("kind = 1").groupBy("doc_id").agg(F.sum("node").alias("n")).toPandas()  # at most 2**SKETCH_BITS rows
     sketch = np.zeros(2**SKETCH_BITS, dtype=np.int64)
     sketch[counts["doc_id"].to_numpy(dtype=np.int64)] = counts["n"].to_numpy(dtype=np.int64)
@@ -179,13 +174,13 @@ def _posting_lists(base: DataFrame, n: int, seed: int, sketch: np.ndarray, t: Fr
                 node = shingler.name(words)[0]
                 if node in seen:  # copies in one task; others meet in their posting lists
                     continue
-                if len(seen) > WORDS:
+                if len(seen) > SEEN:
                     seen.clear()
                 seen.add(node)
                 grams = shingler.grams(words)
                 k = prefix_length(len(grams), t)
                 f = frequency[(grams >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
-                head = np.lexsort((grams, f))[:k]
+                head = np.argsort(f, kind="stable")[:k]  # hashes are sorted already
                 out[0].append(grams[head].view(np.int64))
                 out[1].append(np.full(k, node, dtype=np.int64))
                 out[2].append(np.full(k, len(grams), dtype=np.int32))
@@ -196,8 +191,8 @@ def _posting_lists(base: DataFrame, n: int, seed: int, sketch: np.ndarray, t: Fr
 
     rows = base.mapInPandas(run, "gram bigint, node bigint, size int, pos int")
     w = W.partitionBy("gram").orderBy("size", "node")
-    rows = rows.withColumn("before", F.lag("node").over(w)).withColumn("after", F.lead("node").over(w)).where("before is null or before <> node")
-    rows = rows.where("before is not null or (after is not null and after <> node)")
+    rows = rows.withColumn("before", F.lag("node").over(w)).where("before is null or before <> node")  # copies in other tasks
+    rows = rows.withColumn("after", F.lead("node").over(w)).where("before is not null or after is not null")
     strong = F.expr(f"(size - pos) * {t.numerator + t.denominator} >= {2 * t.numerator} * size")
     last = F.last(F.when(strong, F.struct("node", "size", "pos")), ignorenulls=True).over(w.rowsBetween(W.unboundedPreceding, -1))
     return stored(rows.select("gram", "node", "size", "pos", strong.alias("strong"), last.alias("last")), "ngram-lists")
@@ -237,42 +232,42 @@ def _residual_pairs(lists: DataFrame, found: DataFrame, t: Fraction) -> DataFram
     both = members.select(*columns).unionByName(asking.select(*columns)).repartition("gram", "block").sortWithinPartitions("gram", "block", "asks")
     num, whole, den = t.numerator, t.numerator + t.denominator, t.denominator
 
-    def compare(group: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
-        asks = group["asks"].to_numpy()
-        x = {c: group[c].to_numpy()[asks].astype(np.int64) for c in ("node", "size", "pos", "root", "outside")}
-        y = {c: group[c].to_numpy()[~asks].astype(np.int64) for c in x}
-        left, right = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-        for at in range(0, len(x["node"]), 256):
-            q = {c: v[at : at + 256, None] for c, v in x.items()}
-            least, most = np.minimum(q["size"], y["size"]), np.maximum(q["size"], y["size"])
-            room = np.minimum(q["size"] - q["pos"], y["size"] - y["pos"])
-            ok = (room * whole >= (q["size"] + y["size"]) * num) & (least * den >= most * num) & (q["root"] != y["root"])
-            ok &= (y["outside"] == 0) | (q["node"] > y["node"])
-            i, j = np.nonzero(ok)
-            left.append(x["node"][at + i])
-            right.append(y["node"][j])
-        return np.concatenate(left), np.concatenate(right)
+    def compare(c: dict[str, np.ndarray]) -> Iterator[pd.DataFrame]:
+        """All asking rows of the given whole blocks against the members of their block, some million pairs at a time."""
+        edge = np.flatnonzero(np.r_[True, (c["gram"][1:] != c["gram"][:-1]) | (c["block"][1:] != c["block"][:-1])])
+        group = np.cumsum(np.bincount(edge, minlength=len(c["gram"]))) - 1
+        members = np.add.reduceat((~c["asks"]).astype(np.int64), edge)  # they come first in a block
+        asking = np.flatnonzero(c["asks"])
+        fan = members[group[asking]]
+        upto = np.cumsum(fan)
+        at = 0
+        while at < len(asking):
+            end = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + PAIRS, side="right")))
+            n = fan[at:end]
+            i = np.repeat(asking[at:end], n)
+            j = np.repeat(edge[group[asking[at:end]]], n) + np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)
+            least, most = np.minimum(c["size"][i], c["size"][j]), np.maximum(c["size"][i], c["size"][j])
+            room = np.minimum(c["size"][i] - c["pos"][i], c["size"][j] - c["pos"][j])
+            ok = (room * whole >= (least + most) * num) & (least * den >= most * num) & (c["root"][i] != c["root"][j])
+            ok &= ~c["outside"][j] | (c["node"][i] > c["node"][j])
+            if ok.any():
+                yield pd.DataFrame({"node": c["node"][i[ok]], "node2": c["node"][j[ok]]}).drop_duplicates()
+            at = end
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        """Rows come sorted by list and block; one block is held at a time."""
-        held: list[pd.DataFrame] = []
-        key = None
+        """Rows come sorted by list and block; the last block of a batch waits for the next one."""
+        held: dict[str, np.ndarray] | None = None
         for b in batches:
-            starts = np.flatnonzero(np.r_[True, (b["gram"].to_numpy()[1:] != b["gram"].to_numpy()[:-1]) | (b["block"].to_numpy()[1:] != b["block"].to_numpy()[:-1])]) if len(b) else []
-            for s, e in zip(starts, [*starts[1:], len(b)], strict=True):
-                part = b.iloc[s:e]
-                now = (part["gram"].iat[0], part["block"].iat[0])
-                if now != key and held:
-                    a, c = compare(pd.concat(held) if len(held) > 1 else held[0])
-                    if len(a):
-                        yield pd.DataFrame({"node": a, "node2": c})
-                    held = []
-                key = now
-                held.append(part)
-        if held:
-            a, c = compare(pd.concat(held))
-            if len(a):
-                yield pd.DataFrame({"node": a, "node2": c})
+            c = {x: b[x].to_numpy().astype(np.int64 if x not in ("asks", "outside") else bool) for x in columns}
+            c = c if held is None else {x: np.concatenate([held[x], c[x]]) for x in c}
+            if not len(c["gram"]):
+                continue
+            cut = int(np.flatnonzero((c["gram"] != c["gram"][-1]) | (c["block"] != c["block"][-1]))[-1:].sum() + 1) if (c["gram"][0], c["block"][0]) != (c["gram"][-1], c["block"][-1]) else 0
+            if cut:
+                yield from compare({x: v[:cut] for x, v in c.items()})
+            held = {x: v[cut:] for x, v in c.items()}
+        if held is not None and len(held["gram"]):
+            yield from compare(held)
 
     return _pairs(both.mapInPandas(run, "node bigint, node2 bigint"))
 
@@ -284,8 +279,8 @@ def _verified(pairs: DataFrame, base: DataFrame, names: DataFrame, n: int, seed:
         return pairs
     wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct().join(names, "node")
     wanted = stored(wanted, "ngram-wanted")
-    few = wanted.count() <= BROADCAST_IDS
-    texts = base.join(F.broadcast(wanted) if few else wanted, base["doc_id"].eqNullSafe(wanted["doc_id"])).select("node", "text")
+    n_wanted = wanted.count()
+    texts = base.join(F.broadcast(wanted) if n_wanted <= BROADCAST_IDS else wanted, base["doc_id"].eqNullSafe(wanted["doc_id"])).select("node", "text")
 
     def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingler = Shingler(n, seed)
@@ -294,7 +289,9 @@ def _verified(pairs: DataFrame, base: DataFrame, names: DataFrame, n: int, seed:
             mine = [shingler.name(w)[0] == node for w, node in zip(words, b["node"], strict=True)]
             yield pd.DataFrame({"node": b["node"], "grams": [shingler.grams(w).tobytes() for w in words]})[mine]
 
-    grams = stored(texts.mapInPandas(sets, "node bigint, grams binary").dropDuplicates(["node"]), "ngram-sets")
+    grams = stored(texts.mapInPandas(sets, "node bigint, grams binary"), "ngram-sets")
+    if grams.count() > n_wanted:  # rows that repeat an identifier and its text
+        grams = stored(grams.dropDuplicates(["node"]), "ngram-sets")
 
     def check(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
