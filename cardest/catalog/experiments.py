@@ -1,2 +1,147 @@
-QUERIES = {}
-ORACLE = {}
+"""The comparisons of estimators: violations, percent errors, wins, zero predictions, bucket counts, spread over seeds."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from cardest.catalog.common import SAMPLE_KEYS, SEED, bench, estimate_sql
+from cardest.catalog.estimates import WORKLOADS, exact_counts_sql
+from cardest.experiments import metrics as M
+from cardest.experiments import runs as R
+from cardest.experiments import workload as G
+from cardest.sampling import build, store
+
+EPS = 0.05
+SIZES = [100, 300, 1000, 3800, 9600]
+UNIFORM = WORKLOADS["est_select_orders_u_m2_b5"]
+CORRELATED = WORKLOADS["est_select_orders_c_m2_b8"]
+JOIN = WORKLOADS["est_join_uniform_m1_b1"]
+JOIN5 = WORKLOADS["est_join_uniform_m1_b5"]
+
+
+def _uniform(spark, d, buckets=(100,)):
+    return R.select_results(spark, bench(spark, d), SAMPLE_KEYS, UNIFORM[0], SIZES, list(G.UNIFORM), buckets)
+
+
+def _correlated(spark, d, buckets=(100,), sizes=None):
+    return R.select_results(spark, bench(spark, d), SAMPLE_KEYS, CORRELATED[0], sizes or [*SIZES, 17000], ["c1", "c2"], buckets)
+
+
+def fig_select_uniform(spark, d):
+    """Percent error of sampling and histograms, independent columns."""
+    return M.error_curve(_uniform(spark, d))
+
+
+def fig_select_correlated(spark, d):
+    """The same on correlated columns, where independence misleads the histograms."""
+    return M.error_curve(_correlated(spark, d))
+
+
+def fig_select_correlated_pivot(spark, d):
+    return M.pivot_curve(M.error_curve(_correlated(spark, d)))
+
+
+def fig_join(spark, d):
+    """Index-matched, cross-sample and histograms on joins."""
+    return M.error_curve(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN[0], SIZES, ["u1", "jc"], cross=10))
+
+
+def fig_join_zero_rate(spark, d):
+    """Small index-matched samples predict nothing where there is something; cross-sample does not."""
+    return M.zero_rate(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN[0], SIZES, ["u1", "jc"], buckets=(), cross=10))
+
+
+def fig_bucket_insensitivity(spark, d):
+    """More buckets do not mend independence."""
+    return M.bucket_curve(_correlated(spark, d, buckets=(100, 1000, 10000), sizes=[1000])).where("estimator = 'histogram'")
+
+
+def violations_select_uniform(spark, d):
+    db = bench(spark, d)
+    sdb = build.create_sample(db, {"t": "orders_u"}, UNIFORM[1], SEED, SAMPLE_KEYS)
+    return M.violations(R.with_truth(R.sweep(UNIFORM[0], sdb, [UNIFORM[1]]), UNIFORM[0], db), EPS)
+
+
+def err_select_uniform(spark, d):
+    db = bench(spark, d)
+    sdb = build.create_sample(db, {"t": "orders_u"}, UNIFORM[1], SEED, SAMPLE_KEYS)
+    return M.error_curve(R.with_truth(R.sweep(UNIFORM[0], sdb, [UNIFORM[1]]), UNIFORM[0], db)).select("size", "mean_pct", "sd_pop_pct", "undefined", "queries")
+
+
+def err_select_correlated(spark, d):
+    db = bench(spark, d)
+    sdb = build.create_sample(db, {"t": "orders_c"}, CORRELATED[1], SEED, SAMPLE_KEYS)
+    return M.error_curve(R.with_truth(R.sweep(CORRELATED[0], sdb, [CORRELATED[1]]), CORRELATED[0], db)).select("size", "mean_pct", "sd_pop_pct", "undefined", "queries")
+
+
+def violations_join(spark, d):
+    """Violations of both estimators on joins with five clauses a side."""
+    return M.violations(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN5[0], [1400, 7800, 19200], ["u1", "jc"]), EPS)
+
+
+def violations_baseline_correlated(spark, d):
+    return M.violations(_correlated(spark, d, sizes=[1000, 17000]), EPS)
+
+
+def wins_select_uniform(spark, d):
+    """Queries on which default histograms are closer than the sample."""
+    return M.win_count(_uniform(spark, d).where("estimator = 'histogram' or estimator = 'index'"), "histogram", "index")
+
+
+def q_error_select(spark, d):
+    r = _uniform(spark, d)
+    return r.withColumn("q", M.q_error()).groupBy("estimator", "size").agg(F.round(F.percentile("q", 0.5), 6).alias("median_q"), F.count_if(F.col("q").isNull()).alias("undefined"))
+
+
+def failure_rate_seeds(spark, d):
+    """Share of twenty samples of the theorem's size that are off by more than eps on any of a hundred queries."""
+    q, s = WORKLOADS["est_select_orders_u_m1_b2"]
+    return M.simultaneous_failure(R.seeds_results(spark, bench(spark, d), SAMPLE_KEYS, q, s, range(20)), EPS)
+
+
+def ablation_bound_looseness(spark, d):
+    """Below the theorem's size: samples start to fail only far below it."""
+    q, _ = WORKLOADS["est_select_orders_u_m1_b2"]
+    parts = [M.simultaneous_failure(R.seeds_results(spark, bench(spark, d), SAMPLE_KEYS, q, s, range(8)), EPS) for s in (100, 400, 1400)]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+def sample_footprint(spark, d):
+    sdb = build.create_sample(bench(spark, d), {"a": "orders_u", "b": "events_u"}, 2800, SEED, SAMPLE_KEYS)
+    return store.footprint(sdb)
+
+
+def eps_approximation_class(spark, d):
+    """Whether a sample of the theorem's size is an eps-approximation of all prefixes of one column: every threshold tried."""
+    from pyspark.sql import Window as W
+
+    db = bench(spark, d)
+    sdb = build.create_sample(db, {"t": "orders_u"}, 1200, SEED, SAMPLE_KEYS)
+    n = sdb.sizes["t"]
+    whole = db["orders_u"].groupBy("u1").agg(F.count("*").alias("n"))
+    part = sdb.tables["t"].groupBy("u1").agg(F.count("*").alias("m"))
+    w = W.orderBy("u1").rowsBetween(W.unboundedPreceding, 0)  # one row per value of the domain
+    both = whole.join(part, "u1", "left").select((F.sum("n").over(w) / n).alias("sigma_true"), (F.sum(F.coalesce("m", F.lit(0))).over(w) / 1200).alias("sigma"))
+    return M.within_class(both, EPS).select(F.round("worst", 9).alias("worst"), "is_approximation")
+
+
+QUERIES = {
+    f.__name__: f
+    for f in (fig_select_uniform, fig_select_correlated, fig_select_correlated_pivot, fig_join, fig_join_zero_rate, fig_bucket_insensitivity, violations_select_uniform, err_select_uniform, err_select_correlated, violations_join, violations_baseline_correlated, wins_select_uniform, q_error_select, failure_rate_seeds, ablation_bound_looseness, sample_footprint, eps_approximation_class)
+}
+
+
+def _errors(work) -> str:
+    return f"select e.sigma, x.sigma_true, e.s as size, case when x.sigma_true > 0 then 100 * abs(e.sigma - x.sigma_true) / x.sigma_true when e.sigma = 0 then 0 end as p from ({estimate_sql(work[0], work[1])}) e join ({exact_counts_sql(work[0])}) x using (query_id)"
+
+
+def _curve(work) -> str:
+    return f"select size, round(avg(p), 6) as mean_pct, round(stddev_pop(p), 6) as sd_pop_pct, count(*) filter (where p is null) as undefined, count(*) as queries from ({_errors(work)}) z group by size"
+
+
+ORACLE = {
+    "violations_select_uniform": f"select 'index' as estimator, size, count(*) as queries, count(*) filter (where abs(sigma - sigma_true) > 0.05) as violations from ({_errors(UNIFORM)}) z group by size",
+    "err_select_uniform": _curve(UNIFORM),
+    "err_select_correlated": _curve(CORRELATED),
+    "sample_footprint": "select 'a' as alias, 2800::bigint as sample_rows, (select count(*) from orders) as base_rows, 8 as columns, 22400::bigint as cells union all select 'b', 2800, (select count(*) from events), 8, 22400",
+}

@@ -7,15 +7,35 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Conditions counted in one aggregation, so that generated code stays below the JVM's method limits.
-BATCH = 100
+from cardest.sources import stored
 
+#: Clauses counted in one aggregation, so that generated code stays below the JVM's 64 KB per method.
+BATCH_CLAUSES = 200
 
-def counts_of(frame: DataFrame, conditions: dict[str, Column]) -> DataFrame:
-    """``query_id, hits``: one pass over the frame per batch of conditions, one row per task shuffled."""
-    names, parts = list(conditions), []
-    for at in range(0, len(names), BATCH):
-        batch = names[at : at + BATCH]
+
+def batches(conditions: dict[str, Column], weights: dict[str, int] | None) -> list[list[str]]:
+    out: list[list[str]] = []
+    load = 0
+    for name in conditions:
+        w = (weights or {}).get(name, 1) + 1
+        if not out or load + w > BATCH_CLAUSES:
+            out.append([])
+            load = 0
+        out[-1].append(name)
+        load += w
+    return out
+
+
+def counts_of(frame: DataFrame, conditions: dict[str, Column], weights: dict[str, int] | None = None, keep: bool = False) -> DataFrame:
+    """``query_id, hits``: one pass over the frame per batch of conditions, one row per task shuffled.
+
+    ``weights`` are clauses per condition. A small frame that several batches read is written once if ``keep``.
+    """
+    groups = batches(conditions, weights)
+    if keep and len(groups) > 1:
+        frame = stored(frame, "frame")
+    parts = []
+    for batch in groups:
         row = frame.agg(*[F.count_if(conditions[n]).alias(f"c{i}") for i, n in enumerate(batch)])
         parts.append(row.select(F.explode(F.array(*[F.struct(F.lit(n).alias("query_id"), F.col(f"c{i}").alias("hits")) for i, n in enumerate(batch)])).alias("x")).select("x.*"))
     return reduce(DataFrame.unionByName, parts)

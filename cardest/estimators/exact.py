@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from cardest.estimators.counting import counts_of
 from cardest.query.compile import to_column, to_dataframe
-from cardest.query.ir import MIRRORED, Query
+from cardest.query.ir import MIRRORED, Query, clauses
 from cardest.sources import stored
 
 
@@ -76,7 +76,7 @@ def exact_all(queries: dict[str, Query], db: dict[str, DataFrame]) -> DataFrame:
         else:
             parts.append(to_dataframe(q, db).agg(F.count("*").alias("hits")).select(F.lit(name).alias("query_id"), "hits"))
     for t, conditions in single.items():
-        parts.append(counts_of(db[t], conditions))
+        parts.append(counts_of(db[t], conditions, {n: sum(1 for p in queries[n].selections.values() for _ in clauses(p)) for n in conditions}))
     whole = {n: math.prod(float(sizes[t]) for t in q.tables.values()) for n, q in queries.items()}
     spark = parts[0].sparkSession
     product = F.broadcast(spark.createDataFrame(list(whole.items()), "query_id string, __product double"))

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from cardest.estimators.counting import counts_of
 from cardest.estimators.exact import edge_count
 from cardest.query.compile import edge_column, prefixed, to_column
-from cardest.query.ir import Query
+from cardest.query.ir import Query, clauses
 from cardest.query.normalize import classify
 from cardest.sampling.build import BROADCAST_DRAWS, INDEX, SampleDB
 from cardest.theory import capacity
@@ -39,6 +39,11 @@ def condition(q: Query) -> Column:
     return reduce(and_, parts) if parts else F.lit(True)
 
 
+def weight(q: Query) -> int:
+    """Clauses of a query, as a measure of the code it compiles to."""
+    return len(q.joins) + sum(1 for p in q.selections.values() for _ in clauses(p))
+
+
 def estimate_all(queries: dict[str, Query], sdb: SampleDB) -> DataFrame:
     """``query_id, s, hits, sigma, cardinality`` of every query, one aggregation per set of tables."""
     groups: dict[tuple[str, ...], dict[str, Query]] = defaultdict(dict)
@@ -48,7 +53,7 @@ def estimate_all(queries: dict[str, Query], sdb: SampleDB) -> DataFrame:
     for aliases, group in groups.items():
         rows = sdb.sizes[aliases[0]] if set(aliases) <= sdb.exact else sdb.s
         whole = math.prod(float(sdb.sizes[a]) for a in aliases)
-        hits = counts_of(paired_frame(sdb, aliases), {n: condition(q) for n, q in group.items()})
+        hits = counts_of(paired_frame(sdb, aliases), {n: condition(q) for n, q in group.items()}, {n: weight(q) for n, q in group.items()}, keep=True)
         sigma = F.col("hits").cast("double") / F.lit(float(max(rows, 1)))
         parts.append(hits.select("query_id", F.lit(rows).cast("long").alias("s"), "hits", sigma.alias("sigma"), (sigma * F.lit(whole)).alias("cardinality")))
     return reduce(DataFrame.unionByName, parts)
