@@ -11,7 +11,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from cardest.estimators.counting import counts_of
-from cardest.query.compile import to_column, to_dataframe
+from cardest.query.compile import to_column, to_dataframe, to_expr
 from cardest.query.ir import MIRRORED, Query, clauses
 from cardest.sources import stored
 
@@ -68,7 +68,7 @@ def exact_all(queries: dict[str, Query], db: dict[str, DataFrame]) -> DataFrame:
     for name, q in queries.items():
         if len(q.tables) == 1:
             ((a, t),) = q.tables.items()
-            single[t][name] = to_column(q.selections.get(a))
+            single[t][name] = to_expr(q.selections.get(a))
         elif len(q.tables) == 2 and len(q.joins) == 1:
             (e,) = q.joins
             left, right = (db[q.tables[a]].where(to_column(q.selections.get(a))) for a in (e.a1, e.a2))

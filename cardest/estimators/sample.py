@@ -14,12 +14,12 @@ from dataclasses import dataclass
 from functools import reduce
 from operator import and_
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cardest.estimators.counting import counts_of
 from cardest.estimators.exact import edge_count
-from cardest.query.compile import edge_column, prefixed, to_column
+from cardest.query.compile import edge_column, edge_expr, prefixed, to_column, to_expr
 from cardest.query.ir import Query, clauses
 from cardest.query.normalize import classify
 from cardest.sampling.build import BROADCAST_DRAWS, INDEX, SampleDB
@@ -33,10 +33,10 @@ def paired_frame(sdb: SampleDB, aliases: Iterable[str]) -> DataFrame:
     return reduce(lambda x, y: x.join(F.broadcast(y) if small else y, INDEX), frames)
 
 
-def condition(q: Query) -> Column:
-    """What a row of the paired frame must satisfy to count for the query."""
-    parts = [to_column(p, lambda c, a=a: f"{a}__{c}") for a, p in q.selections.items()] + [edge_column(e) for e in q.joins]
-    return reduce(and_, parts) if parts else F.lit(True)
+def condition(q: Query) -> str:
+    """What a row of the paired frame must satisfy to count for the query, as SQL text."""
+    parts = [to_expr(p, lambda c, a=a: f"`{a}__{c}`") for a, p in q.selections.items()] + [edge_expr(e) for e in q.joins]
+    return " and ".join(parts) or "true"
 
 
 def weight(q: Query) -> int:

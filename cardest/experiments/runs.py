@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from cardest.baselines import histogram as H
 from cardest.estimators import exact, sample
-from cardest.estimators.counting import batches
+from cardest.estimators.counting import batches, hits_array, named_hits
 from cardest.query.ir import Query
 from cardest.sampling import build
 from cardest.sampling.build import INDEX, SampleDB
@@ -26,8 +26,8 @@ def sweep(queries: dict[str, Query], sdb: SampleDB, sizes: list[int], estimator:
     conditions = {n: sample.condition(q) for n, q in queries.items()}
     parts = []
     for batch in batches(conditions, {n: sample.weight(q) for n, q in queries.items()}):
-        row = wide.groupBy("size").agg(*[F.count_if(conditions[n]).alias(f"c{i}") for i, n in enumerate(batch)])
-        cells = F.explode(F.array(*[F.struct(F.lit(n).alias("query_id"), F.col(f"c{i}").alias("hits")) for i, n in enumerate(batch)])).alias("x")
+        row = wide.groupBy("size").agg(hits_array(conditions, batch))
+        cells = named_hits(batch)
         parts.append(row.select("size", cells).select("x.query_id", F.lit(estimator).alias("estimator"), "size", F.lit(sdb.seed).cast("long").alias("seed"), (F.col("x.hits").cast("double") / F.col("size")).alias("sigma")))
     return reduce(DataFrame.unionByName, parts)
 

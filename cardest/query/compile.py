@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import datetime as dt
 from functools import reduce
-from operator import and_, or_
+from operator import and_
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -21,21 +21,34 @@ COMPARE = {
 }
 
 
-def literal(v) -> Column:
-    return F.lit(v.isoformat(sep=" ")).cast("timestamp_ntz") if isinstance(v, dt.datetime) else F.lit(v)
-
-
-def to_column(p, name=lambda c: c) -> Column:
-    """A predicate as a column; ``name`` maps a column to where it is found."""
+def to_expr(p, name=lambda c: f"`{c}`") -> str:
+    """A predicate as Spark SQL text: one call to the JVM however large the predicate."""
     if p is None:
-        return F.lit(True)
+        return "true"
     if isinstance(p, Clause):
-        return COMPARE[p.op](F.col(name(p.col)), literal(p.value))
+        return f"{name(p.col)} {p.op} {spark_value(p.value)}"
     if isinstance(p, Not):
-        return ~to_column(p.part, name)
+        return f"not ({to_expr(p.part, name)})"
     if isinstance(p, Opaque):
-        return F.expr(p.sql)
-    return reduce(and_ if isinstance(p, And) else or_, [to_column(x, name) for x in p.parts])
+        return f"({p.sql})"
+    return "(" + (" and " if isinstance(p, And) else " or ").join(to_expr(x, name) for x in p.parts) + ")"
+
+
+def spark_value(v) -> str:
+    if isinstance(v, str):
+        return "'" + v.replace("\\", "\\\\").replace("'", "\\'") + "'"
+    if isinstance(v, dt.datetime):
+        return f"timestamp_ntz '{v.isoformat(sep=' ')}'"
+    return f"{v!r}D" if isinstance(v, float) else repr(v)
+
+
+def to_column(p, name=lambda c: f"`{c}`") -> Column:
+    """A predicate as a column; ``name`` maps a column to where it is found."""
+    return F.expr(to_expr(p, name))
+
+
+def edge_expr(e: JoinEdge) -> str:
+    return f"`{e.a1}__{e.c1}` {e.op} `{e.a2}__{e.c2}`"
 
 
 def edge_column(e: JoinEdge, name=lambda a, c: f"{a}__{c}") -> Column:
