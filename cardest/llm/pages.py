@@ -194,7 +194,7 @@ def repeated_candidates(root: Node) -> set[int]:
     keys: set[int] = set()
 
     def walk(node: Node) -> bool:
-        has = any(walk(c) if isinstance(c, Node) else bool(c.strip()) for c in list(node.children))
+        has = any([walk(c) if isinstance(c, Node) else bool(c.strip()) for c in node.children])  # all children are walked
         if has and node.tag in BLOCKS and node.tag not in ("html", "body", "main", "article"):
             keys.add(node.key)
         return has

@@ -1,0 +1,319 @@
+"""Each operator against a brute-force version on small tables with nulls, ties, repeats, empty and long texts."""
+
+import hashlib
+import math
+import random
+import re
+import zlib
+from collections import Counter
+from fractions import Fraction
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+public_tokenizers = pytest.importorskip("public_tokenizers")
+
+from cardest.llm import exact, mixing, ngrams, packing, pages, pii, sharding, tokens, toxicity, vectors  # noqa: E402
+from cardest.llm.common import components  # noqa: E402
+
+SCHEMA = "doc_id long, text string, source string, digest string, size string, node string, part string"
+
+
+@pytest.fixture(scope="module")
+def texts():
+    rng = random.Random(1)
+    words = ["alpha", "beta", "gamma", "Delta", "x1", "über", "the", "and"]
+    rows = [(i, " ".join(rng.choice(words) for _ in range(rng.randint(0, 60)))) for i in range(60)]
+    rows += [(100 + i, "same text here for all of them") for i in range(12)]
+    rows += [(200, None), (201, ""), (202, " \t\n "), (203, "same\ttext  here for all of them"), (204, "long " * 4000), (None, "no id"), (205, "twice"), (205, "twice")]
+    return rows
+
+
+@pytest.fixture(scope="module")
+def docs(spark, texts):
+    rows = [(i, t, None if n % 9 == 0 else f"s{n % 3}", "d", "s", "n", "p") for n, (i, t) in enumerate(texts)]
+    return spark.createDataFrame(rows, SCHEMA).repartition(5)
+
+
+@pytest.fixture(scope="module")
+def empty(docs):
+    return docs.where("false")
+
+
+def test_exact(docs, texts, empty):
+    got = exact.exact_duplicates(docs).collect()
+    norm = lambda t: re.sub(r"[\x20\x09-\x0D]+", " ", t or "")
+    groups = {}
+    for i, t in texts:
+        groups.setdefault(norm(t), []).append(i)
+    by_digest = {hashlib.sha256(k.encode()).hexdigest(): v for k, v in groups.items()}
+    assert len(got) == len(texts)
+    for r in got:
+        ids = by_digest[r["text_sha256"]]
+        assert r["group_size"] == len(ids)
+        assert r["keep_id"] == min((i for i in ids if i is not None), default=None)
+    assert sum(r["kept"] for r in got) == len(groups)
+    assert exact.deduplicate(docs).count() == len(groups)
+    assert exact.exact_duplicates(empty).count() == 0
+
+
+def test_exact_index_levels(spark):
+    index = exact.DigestIndex.create(spark)
+    for n in (3, 1):
+        index.flush(spark.createDataFrame([(bytes([k]), n * 10 + k) for k in range(n)], "digest binary, doc_id long"))
+    index.compact()
+    rows = {bytes(r["digest"]): (r["first_id"], r["copies"]) for r in index.rows().collect()}
+    assert rows == {b"\0": (10, 2), b"\1": (31, 1), b"\2": (32, 1)}
+    assert index.contains(b"\1") and not index.contains(b"\7")
+
+
+def test_mix(docs, texts, empty):
+    rows = mixing.mix(docs).collect()
+    assert len(rows) == len(texts)
+    size = lambda t: len(re.findall(r"[^\x20\x09-\x0D]+", t or ""))
+    assert sum(r["size"] for r in rows) == sum(size(t) for _, t in texts)
+    by = {}
+    for r in rows:
+        by.setdefault(r["source"], []).append(r)
+        assert r["taken"] == r["copies"] * r["size"] <= 3 * r["size"]
+    total = sum(r["size"] for r in rows)
+    sizes = {s: sum(r["size"] for r in v) for s, v in by.items()}
+    weights = {s: w for s, w in zip(sorted(by, key=lambda s: (s is None, s or "")), [1, 2, 3, 1], strict=False)}
+    target, full = {}, set()
+    while True:
+        rest = total - sum(3 * sizes[s] for s in full)
+        scale = sum(w for s, w in weights.items() if s not in full)
+        target = {s: 3 * sizes[s] if s in full else rest * w / scale for s, w in weights.items()}
+        over = {s for s in by if s not in full and target[s] > 3 * sizes[s]}
+        if not over:
+            break
+        full |= over
+    for s, v in by.items():
+        assert v[0]["target"] == pytest.approx(target[s])
+        assert abs(sum(r["taken"] for r in v) - target[s]) <= max(r["size"] for r in v)
+    assert {(r["doc_id"], r["taken"]) for r in rows} == {(r["doc_id"], r["taken"]) for r in mixing.mix(docs.repartition(2)).collect()}
+    assert mixing.mix(empty).count() == 0
+
+
+def test_pii_spans():
+    rng = random.Random(3)
+
+    def brute(s):
+        out = [(m.start(), 0, m.end()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+", s)]
+        out += [(m.start(), 1, m.end()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", s) if all(int(p) <= 255 for p in m.group().split("."))]
+        for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", s):
+            d = re.sub(r"[ -]", "", m.group())
+            if 12 <= len(d) <= 19 and sum(int(c) if k % 2 == 0 else sum(divmod(2 * int(c), 10)) for k, c in enumerate(reversed(d))) % 10 == 0:
+                out.append((m.start(), 2, m.end()))
+        out += [(m.start(), 3, m.end()) for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", s) if 9 <= sum(c in "0123456789" for c in m.group()) <= 15]
+        return sorted(out)
+
+    for _ in range(4000):
+        s = "".join(rng.choice("ab@.%1204+-() 9") for _ in range(rng.randint(0, 60)))
+        assert [(x.start, x.rank, x.end) for x in pii.find_spans(s) if x.rank < 4] == brute(s)
+    assert pii.listed(pii.find_spans("pay to GB82 WEST 1234 5698 7654 32 now")) == "iban:7:34"
+    assert pii.find_spans("GB82 WEST 1234 5698 7654 33") == []
+    assert pii.find_spans(None) == [] and pii.luhn("4111111111111111") and pii.mod97("DE89370400440532013000")
+    assert pii.redact("call +1 (234) 555-2345 now", pii.find_spans("call +1 (234) 555-2345 now")) == "call <phone> now"
+
+
+def test_pii_query(docs, empty):
+    rows = {r["doc_id"]: r for r in pii.detect(docs, with_redacted=True).collect()}
+    assert rows[200]["n_email"] == 0 and rows[200]["base_sha256"] == hashlib.sha256(b"").hexdigest() and rows[200]["redacted"] is None
+    assert pii.detect(empty).count() == 0
+
+
+ODD = ["", " ", "a  b\n\n c\t d ", "<|endoftext|> a<|endoftext|>\nb", "é́ x ́y z  w\x1cq\x85r ", "don't we'll\n'tis 'S", " lead", "trail ", "\n", "a\r\nb", "İstanbul ΑΣ Σ"]
+
+
+def test_tokens(spark, docs, texts, empty):
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    library = Tokenizer.from_file(path)
+    rng = random.Random(0)
+    odd = ODD + ["".join(rng.choice(" \n\t  ab'Zé1.,́ \x1c　<|endoftext|>'s") for _ in range(rng.randint(0, 40))) for _ in range(300)]
+    got = {r["doc_id"]: r["n_tokens"] for r in tokens.count_tokens(spark.createDataFrame(list(enumerate(odd)), "doc_id long, text string"), path).collect()}
+    assert got == {i: len(e.ids) for i, e in enumerate(library.encode_batch(odd, add_special_tokens=False))}
+    rows = tokens.count_tokens(docs, path, limit=100).collect()
+    assert len(rows) == len(texts) and all(r["over_limit"] == (r["n_tokens"] > 100) for r in rows)
+    assert tokens.count_tokens(empty, path).count() == 0
+    model = tokens.count_tokens(docs, public_tokenizers.path("piece_bpe_32k.model")).collect()
+    assert {r["doc_id"]: r["n_tokens"] for r in model}[200] == 0
+
+
+def test_packing(spark, docs, texts, empty):
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    library = Tokenizer.from_file(path)
+    rows = packing.pack(docs, path, capacity=256).collect()
+    known = Counter((i, len(library.encode(t or "", add_special_tokens=False).ids) + 1) for i, t in texts)
+    assert Counter((r["doc_id"], r["doc_tokens"]) for r in rows if r["start"] == 0) == known
+    ids = {i: np.array([*library.encode(t or "", add_special_tokens=False).ids, 1], dtype="<u4") for i, t in texts}
+    for r in rows:
+        assert zlib.crc32(ids[r["doc_id"]][r["start"] : r["start"] + r["length"]].tobytes()) == r["ids_crc32"]
+    assert sum(r["length"] for r in rows) == sum(n * k for (_, n), k in known.items())
+    bins = {}
+    for r in sorted(rows, key=lambda r: (r["sequence_id"], r["offset"])):
+        assert r["offset"] == bins.get(r["sequence_id"], 0)
+        bins[r["sequence_id"]] = r["offset"] + r["length"]
+    assert sorted(bins) == list(range(len(bins))) and max(bins.values()) <= 256
+    assert packing.pack(empty, path).count() == 0
+    odd = [s for s in ODD if s]
+    encoder = packing.ByteEncoder(path)
+    assert [b"".join(c) for c in encoder.encode(odd)] == [np.array(e.ids, dtype="<u4").tobytes() for e in library.encode_batch(odd, add_special_tokens=False)]
+
+
+def test_cut_lengths_cover():
+    for n in range(1, 5000, 7):
+        cut = packing.cut_lengths(n, 2048)
+        assert sum(cut) == n and max(cut) <= 2048 and len(cut) <= n // 2048 + packing.CUTS + 1
+
+
+def test_vectors(spark):
+    rng = np.random.default_rng(0)
+    base = rng.normal(size=(40, 16))
+    rows = [base[i % 40] + rng.normal(size=16) * (0.05 if i >= 40 else 0) for i in range(150)]
+    rows += [rows[0]] * 5
+    data = [(i, [float(x) for x in r]) for i, r in enumerate(rows)] + [(900, None), (901, []), (902, [0.0] * 16), (903, [math.nan] * 16), (904, [None] + [1.0] * 15), (905, [1.0, 2.0]), (906, [2.0, 4.0])]
+    df = spark.createDataFrame(data, "vec_id long, embedding array<double>").repartition(4)
+    good = {i: np.array(v) for i, v in data if v and None not in v and np.isfinite(v).all() and any(v)}
+    links = {i: set() for i in good}
+    for i in good:
+        for j in good:
+            if i < j and len(good[i]) == len(good[j]) and good[i] @ good[j] / np.linalg.norm(good[i]) / np.linalg.norm(good[j]) >= 0.95:
+                links[i].add(j)
+                links[j].add(i)
+    for rows_per_block in (8192, 16):
+        got = {r["vec_id"]: r for r in vectors.near_vectors(df, 0.95, pivots=8, block_rows=rows_per_block).collect()}
+        assert len(got) == len(data)
+        for i in good:
+            seen, todo = {i}, [i]
+            while todo:
+                for j in links[todo.pop()] - seen:
+                    seen.add(j)
+                    todo.append(j)
+            assert (got[i]["n_links"], got[i]["component_id"], got[i]["kept"]) == (len(links[i]), min(seen), i == min(seen))
+        assert all(got[i]["n_links"] == 0 and got[i]["kept"] for i in (900, 901, 902, 903, 904))
+    assert vectors.near_vectors(df.where("false")).count() == 0
+
+
+def test_quantisation_bound_is_rigorous():
+    rng = np.random.default_rng(1)
+    u = vectors.unit_rows(rng.normal(size=(300, 32)))
+    codes, scale, norm, error = vectors.quantise(u)
+    approx = (codes.astype(float) * scale[:, None]) @ (codes.astype(float) * scale[:, None]).T
+    assert (np.abs(u @ u.T - approx) <= norm[:, None] * error[None] + error[:, None] + 1e-12).all()
+
+
+def test_shards(docs, texts, empty):
+    rows = sharding.shard(docs, shards=7).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        assert r["grown_shard"] is None and r["law"] == "bytes"
+    shards = {}
+    for r in rows:
+        shards.setdefault(r["shard"], []).append(r)
+    assert all(sorted(r["slot"] for r in v) == list(range(len(v))) for v in shards.values()) and set(shards) <= set(range(7))
+    assert len({r["shard"] for r in rows if 100 <= (r["doc_id"] or 0) < 112}) == 1
+    by = {r["doc_id"]: r for r in rows}
+    assert by[200]["size"] == 16 and by[204]["text_crc32"] == zlib.crc32(b"long " * 4000)
+    assert sharding.shard(empty).count() == 0
+
+
+def test_minimax_capacity_is_smallest():
+    rng = random.Random(4)
+    for _ in range(200):
+        sizes = np.array([rng.randint(0, 30) for _ in range(rng.randint(1, 12))])
+        k = rng.randint(1, 5)
+
+        def best(at, left):
+            if left == 1:
+                return sizes[at:].sum()
+            return min(max(sizes[at:e].sum(), best(e, left - 1)) for e in range(at, len(sizes) + 1))
+
+        capacity = sharding.minimax_capacity(sizes, k)
+        assert capacity == best(0, k)
+        ends = [0, *sharding.minimax_cuts(sizes, k), len(sizes)]
+        assert len(ends) == k + 1 and all(a <= b and sizes[a:b].sum() <= capacity for a, b in zip(ends, ends[1:], strict=False))
+
+
+def test_toxicity(spark, sf_dir, empty):
+    docs = spark.read.parquet(f"{sf_dir.replace('0.001', '0.01')}/documents.parquet")
+    labels = spark.read.parquet(f"{sf_dir.replace('0.001', '0.01')}/labels.parquet")
+    model = toxicity.fit(docs, labels)
+    r = toxicity.Restorer(model.language)
+    assert r.restored("you 1d10t, m0r0n and stuuuupid l o s e r") == "you idiot, moron and stupid loser"
+    assert r.restored("He had 3 cats and 100 dogs in room 12") == "he had 3 cats and 100 dogs in room 12"
+    rows = toxicity.score(docs, model).join(labels, "doc_id").where("held_out").toPandas()
+    hit = rows[(rows.predicted == 1)]
+    assert (hit.toxic == 1).mean() > 0.8 and (rows[rows.toxic == 1].predicted == 1).mean() > 0.5
+    assert toxicity.score(empty, model).count() == 0
+    assert 0 <= model.score(r.words(None)) < 0.3
+    held = spark.createDataFrame([(i,) for i in range(50)], "doc_id long").select("doc_id", toxicity.held_out("doc_id").alias("h")).collect()
+    assert all(x["h"] == (zlib.crc32(str(x["doc_id"]).encode()) % 4 == 2) for x in held)
+
+
+PAGE = '<html><head><title>t</title></head><body><nav><ul><li>menu</ul></nav><div class="main-menu">m</div><article><h1>Head &amp; more</h1><p>a<br>b  <b>c<p>d</b> e<div class=comments>no</div><form><p>no</p></form><p>{}</p><p>Subscribe to our letter today</p></article><footer>&copy; f</footer></body></html>'
+
+
+def test_pages(spark):
+    rows = [(i, f"http://h.example/{i}", PAGE.format(f"text {i}")) for i in range(6)]
+    rows += [(10, "http://other.example/", PAGE.format("alone")), (11, None, None), (12, "http://h.example/x", ""), (13, "x", "<p>no region &am")]
+    got = {r["page_id"]: r["text"] for r in pages.extract(spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)).collect()}
+    # blocks that stand on all pages of a host are its template
+    assert got[3] == "text 3"
+    assert got[10] == "Head & more\na b c\nd e\nalone\nSubscribe to our letter today"
+    assert got[11] == got[12] == "" and got[13] == "no region &am"
+    assert pages.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
+@pytest.mark.parametrize(("n", "t"), [(4, Fraction(85, 100)), (5, Fraction(4, 5))])
+def test_ngrams(spark, n, t):
+    rng = random.Random(5)
+    vocab = [f"w{i}" for i in range(300)]
+    rows = [(i, " ".join(rng.choice(vocab) for _ in range(rng.randint(1, 80)))) for i in range(40)]
+    core = [rng.choice(vocab) for _ in range(70)]
+    for i in range(60):  # a group of near copies, some too far
+        w = list(core)
+        for _ in range(rng.randint(0, 4)):
+            w[rng.randrange(len(w))] = rng.choice(vocab)
+        rows.append((100 + i, " ".join(w)))
+    rows += [(300 + i, " ".join(core)) for i in range(9)] + [(400, None), (401, ""), (402, "one two"), (403, "ONE two"), (404, "  ")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
+    sets = {}
+    for i, x in rows:
+        w = (x or "").lower().split()
+        sets[i] = {tuple(w[k : k + n]) for k in range(max(1, len(w) - n + 1))} if w else set()
+    root = {i: i for i in sets}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i in sets:
+        for j in sets:
+            if i < j and sets[i] and sets[j] and len(sets[i] & sets[j]) * t.denominator >= len(sets[i] | sets[j]) * t.numerator:
+                a, b = find(i), find(j)
+                root[max(a, b)] = min(a, b)
+    got = {r["doc_id"]: r for r in ngrams.near_copies(df, n, t).collect()}
+    assert {i: got[i]["component_id"] for i in sets} == {i: find(i) for i in sets}
+    assert {i: got[i]["n_shingles"] for i in sets} == {i: len(s) for i, s in sets.items()}
+    assert ngrams.near_copies(df.where("false"), n, t).count() == 0
+
+
+def test_components(spark):
+    edges = [(i, i + 1) for i in range(0, 30)] + [(100, 101), (102, 101), (5, 5)]
+    got = {r["node"]: r["root"] for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert all(got[i] == 0 for i in range(31)) and {got[i] for i in (100, 101, 102)} == {100}
+    assert components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_registered_queries(spark, sf_dir):
+    from cardest.llm.queries import QUERIES
+
+    assert sorted(int(q[2:].split("_")[0]) for q in QUERIES) == list(range(1, 11))
+    assert QUERIES["op6_minimax_shards"](spark, sf_dir).agg(F.count("*")).first()[0] == 200
