@@ -71,6 +71,7 @@ for _n, _op in OPS.items():
     )
 for _b in (1, 2, 5, 8):
     WORKLOADS[f"est_join_uniform_m1_b{_b}"] = (G.join_queries("orders_u", "events_u", {"u1": (0, G.DOMAIN - 1)}, 1, _b, count=100), {1: 2800, 2: 6200, 5: 19200, 8: 34200}[_b])
+WORKLOADS["est_join_uniform_any_operator"] = (G.join_queries("orders_u", "events_u", {"u1": (0, G.DOMAIN - 1)}, 1, 2, count=40, op=None), 6200)
 WORKLOADS["est_join_part_lineitem"] = ({"all": Query({"p": "part", "l": "lineitem"}, {}, (JoinEdge("p", "p_size", "=", "l", "l_quantity"),))}, 2800)
 WORKLOADS["est_join_orders_lineitem"] = ({"key": Query({"o": "orders", "l": "lineitem"}, {}, (JoinEdge("o", "o_orderkey", "=", "l", "l_orderkey"),))}, 12000)
 

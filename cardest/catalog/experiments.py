@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from cardest.catalog.common import SAMPLE_KEYS, SEED, bench, estimate_sql
+from cardest.catalog.common import SAMPLE_KEYS, SEED, bench, derived_ctes, estimate_sql
 from cardest.catalog.estimates import WORKLOADS, exact_counts_sql
 from cardest.experiments import metrics as M
 from cardest.experiments import runs as R
@@ -125,9 +125,39 @@ def eps_approximation_class(spark, d):
     return M.within_class(both, EPS).select(F.round("worst", 9).alias("worst"), "is_approximation")
 
 
+def workload_json(spark, d):
+    """A generated workload as it is stored: one query per row."""
+    return spark.createDataFrame([(n, q.to_json()) for n, q in UNIFORM[0].items()], "query_id string, ir string")
+
+
+def workload_correlation(spark, d):
+    """The derived pair is correlated as asked for, 3 to 4; the uniform columns are not."""
+    db = bench(spark, d)
+    c = db["orders_c"].agg(F.round(F.corr("c1", "c2"), 6).alias("normal_pair"))
+    u = db["orders_u"].agg(F.round(F.corr("u1", "u2"), 6).alias("uniform_pair"))
+    return c.crossJoin(u)  # one row each
+
+
+def refresh_policy(spark, d):
+    """Probe estimates of an old and a new sample: the same table asks for nothing, a changed one does."""
+    db = bench(spark, d)
+    q = dict(list(UNIFORM[0].items())[:10])
+
+    def probe(table, seed):
+        from cardest.estimators import sample
+
+        sdb = build.create_sample({"orders_u": table}, {"t": "orders_u"}, 2000, seed, SAMPLE_KEYS)
+        return {r["query_id"]: r["sigma"] for r in sample.estimate_all(q, sdb).collect()}
+
+    same = store.needs_refresh(probe(db["orders_u"], 1), probe(db["orders_u"], 2), EPS)
+    moved = db["orders_u"].select("o_orderkey", *[(F.col(u) / 3).cast("long").alias(u) for u in G.UNIFORM], "jc")
+    changed = store.needs_refresh(probe(db["orders_u"], 1), probe(moved, 2), EPS)
+    return spark.createDataFrame([("same", same), ("changed", changed)], "table_state string, refresh boolean")
+
+
 QUERIES = {
     f.__name__: f
-    for f in (fig_select_uniform, fig_select_correlated, fig_select_correlated_pivot, fig_join, fig_join_zero_rate, fig_bucket_insensitivity, violations_select_uniform, err_select_uniform, err_select_correlated, violations_join, violations_baseline_correlated, wins_select_uniform, q_error_select, failure_rate_seeds, ablation_bound_looseness, sample_footprint, eps_approximation_class)
+    for f in (fig_select_uniform, fig_select_correlated, fig_select_correlated_pivot, fig_join, fig_join_zero_rate, fig_bucket_insensitivity, violations_select_uniform, err_select_uniform, err_select_correlated, violations_join, violations_baseline_correlated, wins_select_uniform, q_error_select, failure_rate_seeds, ablation_bound_looseness, sample_footprint, eps_approximation_class, workload_json, workload_correlation, refresh_policy)
 }
 
 
@@ -140,6 +170,7 @@ def _curve(work) -> str:
 
 
 ORACLE = {
+    "workload_correlation": f"with {', '.join(derived_ctes(['orders_c', 'orders_u']))} select (select round(corr(c1, c2), 6) from orders_c) as normal_pair, (select round(corr(u1, u2), 6) from orders_u) as uniform_pair",
     "violations_select_uniform": f"select 'index' as estimator, size, count(*) as queries, count(*) filter (where abs(sigma - sigma_true) > 0.05) as violations from ({_errors(UNIFORM)}) z group by size",
     "err_select_uniform": _curve(UNIFORM),
     "err_select_correlated": _curve(CORRELATED),
