@@ -6,11 +6,15 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
 from functools import lru_cache
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Edges of one task of the first contraction.
+EDGES = 500_000
 #: ASCII white space of the contracts, as a regular-expression class body.
 BLANK = r"\x20\x09-\x0D"
 
@@ -64,20 +68,23 @@ def attach(rows: DataFrame, key: str, spread: str, lookup: DataFrame) -> DataFra
 def components(edges: DataFrame, a: str = "a", b: str = "b", limit: int = 60) -> DataFrame:
     """Connected components of an edge list of longs: ``node``, ``root`` (smallest node reachable), nodes with edges only.
 
-    Alternates the large-star and small-star contractions; each round is two aggregations with map-side combining and
-    joins that adaptive execution may split, and is written to the shared folder, so that plans stay short and lost
-    executors are survived. Stops when a round changes nothing.
+    Edges are dealt into tasks of ``EDGES`` and each task keeps only a forest of stars, which removes long chains; then
+    large-star and small-star contractions alternate. Each round is two aggregations with map-side combining and joins that
+    adaptive execution may split, and is written to the shared folder, so that plans stay short and lost executors are
+    survived. Stops when a round changes nothing.
     """
     links = stored(
         edges.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b))).select(F.greatest(a, b).cast("long").alias("hi"), F.least(a, b).cast("long").alias("lo")).distinct(),
         "links",
     )
-    if links.isEmpty():
+    n = links.count()
+    if not n:
         return links.select(F.col("hi").alias("node"), F.col("lo").alias("root"))
-    before = None
+    links = stored(links.repartition(-(-n // EDGES)).mapInPandas(_stars, "hi long, lo long"), "links")
+    before = _state(links)
     for _ in range(limit):
         links = stored(_small_star(_large_star(links)), "links")
-        state = links.agg(F.count("*").alias("n"), F.sum(F.hash("hi", "lo").cast("long")).alias("h"), F.sum(F.col("lo").cast("decimal(38,0)")).alias("t")).first()
+        state = _state(links)
         if state == before:
             break
         before = state
@@ -86,6 +93,29 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", limit: int = 60) ->
     return links.select(F.col("hi").alias("node"), F.col("lo").alias("root")).unionByName(links.select(F.col("lo").alias("node"), F.col("lo").alias("root"))).groupBy("node").agg(F.min("root").alias("root"))
 
 
+def _state(links: DataFrame):
+    return links.agg(F.count("*").alias("n"), F.sum(F.hash("hi", "lo").cast("long")).alias("h"), F.sum(F.col("lo").cast("decimal(38,0)")).alias("t")).first()
+
+
+def _stars(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Union-find over one task's edges: every node tied to the smallest it reaches there."""
+    up: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while (p := up.setdefault(x, x)) != x:
+            up[x] = up.setdefault(p, p)
+            x = up[x]
+        return x
+
+    for b in batches:
+        for x, y in zip(b["hi"].tolist(), b["lo"].tolist(), strict=True):
+            x, y = find(x), find(y)
+            if x != y:
+                up[max(x, y)] = min(x, y)
+    rows = [(x, r) for x in list(up) if (r := find(x)) != x]
+    yield pd.DataFrame(rows, columns=["hi", "lo"]).astype("int64")
+
+
 def _large_star(links: DataFrame) -> DataFrame:
     """Every larger neighbour of a node is tied to the node's smallest neighbour (itself included)."""
     both = links.select(F.col("hi").alias("u"), F.col("lo").alias("v")).unionByName(links.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
