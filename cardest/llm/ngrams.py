@@ -217,25 +217,27 @@ def _neighbour_pairs(lists: DataFrame, t: Fraction) -> DataFrame:
 def _residual_pairs(lists: DataFrame, found: DataFrame, t: Fraction) -> DataFrame:
     """Pairs of different components that share a prefix n-gram and pass the filters.
 
-    In every list whose members are of more than one component, members outside the largest one meet all members, which
-    are dealt into blocks of about ``BLOCK``; a pair is kept in each list that lets it pass and made distinct afterwards.
+    In every list whose members are of more than one component, members outside the largest one (the list's main one) meet
+    all members, dealt into blocks of about ``BLOCK``. Lists with one main component are worked on together, block by
+    block, so that a pair met in many of their lists is made once.
     """
     lists = attach(lists.select("gram", "node", "size", "pos"), "node", "gram", found).withColumn("root", F.coalesce("root", "node"))
     lists = stored(lists, "ngram-rooted")
     sizes = lists.groupBy("gram", "root").agg(F.count("*").alias("m"))
     split = sizes.groupBy("gram").agg(F.count("*").alias("roots"), F.sum("m").alias("m"), F.max_by("root", F.struct("m", "root")).alias("main")).where("roots > 1")
-    blocks = F.ceil(F.col("m") / BLOCK).cast("int")
-    rows = lists.join(split.select("gram", "main", blocks.alias("blocks")), "gram").withColumn("outside", F.col("root") != F.col("main"))
+    split = split.join(split.groupBy("main").agg(F.ceil(F.max("m") / BLOCK).cast("int").alias("blocks")), "main")
+    rows = lists.join(split.select("gram", "main", "blocks"), "gram").withColumn("outside", F.col("root") != F.col("main"))
     members = rows.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("asks", F.lit(False))
     asking = rows.where("outside").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("asks", F.lit(True))
-    columns = ["gram", "block", "asks", "outside", "node", "size", "pos", "root"]
-    both = members.select(*columns).unionByName(asking.select(*columns)).repartition("gram", "block").sortWithinPartitions("gram", "block", "asks")
+    columns = ["main", "block", "gram", "asks", "outside", "node", "size", "pos", "root"]
+    both = members.select(*columns).unionByName(asking.select(*columns)).repartition("main", "block").sortWithinPartitions("main", "block", "gram", "asks")
     num, whole, den = t.numerator, t.numerator + t.denominator, t.denominator
 
-    def compare(c: dict[str, np.ndarray]) -> Iterator[pd.DataFrame]:
-        """All asking rows of the given whole blocks against the members of their block, some million pairs at a time."""
-        edge = np.flatnonzero(np.r_[True, (c["gram"][1:] != c["gram"][:-1]) | (c["block"][1:] != c["block"][:-1])])
+    def compare(c: dict[str, np.ndarray]) -> pd.DataFrame:
+        """All asking rows of the given whole blocks against the members of their list, some million pairs at a time."""
+        edge = np.flatnonzero(np.r_[True, (c["gram"][1:] != c["gram"][:-1]) | (c["block"][1:] != c["block"][:-1]) | (c["main"][1:] != c["main"][:-1])])
         group = np.cumsum(np.bincount(edge, minlength=len(c["gram"]))) - 1
+        made = pd.DataFrame({x: np.empty(0, np.int64) for x in ("main", "block", "node", "node2")})
         members = np.add.reduceat((~c["asks"]).astype(np.int64), edge)  # they come first in a block
         asking = np.flatnonzero(c["asks"])
         fan = members[group[asking]]
@@ -251,23 +253,43 @@ def _residual_pairs(lists: DataFrame, found: DataFrame, t: Fraction) -> DataFram
             ok = (room * whole >= (least + most) * num) & (least * den >= most * num) & (c["root"][i] != c["root"][j])
             ok &= ~c["outside"][j] | (c["node"][i] > c["node"][j])
             if ok.any():
-                yield pd.DataFrame({"node": c["node"][i[ok]], "node2": c["node"][j[ok]]}).drop_duplicates()
+                a, b = np.maximum(c["node"][i[ok]], c["node"][j[ok]]), np.minimum(c["node"][i[ok]], c["node"][j[ok]])
+                made = pd.concat([made, pd.DataFrame({"main": c["main"][i[ok]], "block": c["block"][i[ok]], "node": a, "node2": b})]).drop_duplicates()
             at = end
+        return made
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        """Rows come sorted by list and block; the last block of a batch waits for the next one."""
+        """Rows come sorted by main component, block and list; the last list of a batch waits for the next one.
+
+        Pairs made in a block are remembered until it ends, so that its later lists do not make them again.
+        """
         held: dict[str, np.ndarray] | None = None
+        block, known = (0, -1), set()
+
+        def fresh(c: dict[str, np.ndarray]) -> pd.DataFrame:
+            nonlocal block, known
+            made = compare(c)
+            same = ((made["main"] == block[0]) & (made["block"] == block[1])).to_numpy()
+            pairs = list(zip(made["node"].tolist(), made["node2"].tolist(), strict=True))
+            new = np.fromiter((not s or p not in known for s, p in zip(same, pairs, strict=True)), bool, len(pairs))
+            last = (int(c["main"][-1]), int(c["block"][-1]))
+            if last != block:
+                block, known = last, set()
+            known.update(p for p, m, k in zip(pairs, made["main"].tolist(), made["block"].tolist(), strict=True) if (m, k) == block)
+            return made.loc[new, ["node", "node2"]]
+
         for b in batches:
             c = {x: b[x].to_numpy().astype(np.int64 if x not in ("asks", "outside") else bool) for x in columns}
             c = c if held is None else {x: np.concatenate([held[x], c[x]]) for x in c}
             if not len(c["gram"]):
                 continue
-            cut = int(np.flatnonzero((c["gram"] != c["gram"][-1]) | (c["block"] != c["block"][-1]))[-1:].sum() + 1) if (c["gram"][0], c["block"][0]) != (c["gram"][-1], c["block"][-1]) else 0
+            earlier = np.flatnonzero((c["main"] != c["main"][-1]) | (c["block"] != c["block"][-1]) | (c["gram"] != c["gram"][-1]))
+            cut = int(earlier[-1]) + 1 if len(earlier) else 0
             if cut:
-                yield from compare({x: v[:cut] for x, v in c.items()})
+                yield fresh({x: v[:cut] for x, v in c.items()})
             held = {x: v[cut:] for x, v in c.items()}
         if held is not None and len(held["gram"]):
-            yield from compare(held)
+            yield fresh(held)
 
     return _pairs(both.mapInPandas(run, "node bigint, node2 bigint"))
 
