@@ -5,11 +5,13 @@ meant. Viterbi search under a character language model (smoothed n-grams, mixed
 likely reading, each substitution, dropped repetition and closed gap at its own cost. A word with one reading only is its
 own restoration, so just the few odd ones are decoded. Texts are scored by the evidence of their restored words.
 
-Language model and evidence are fitted on a bounded sample of labelled rows (``SAMPLE``); scores read nothing but text.
+The language model is counted over the texts of all documents, labelled or not, and grows with them; only the evidence and
+its calibration come from a bounded sample of labelled rows (``SAMPLE``). Scores read nothing but text.
 """
 
 from __future__ import annotations
 
+import hashlib
 import math
 import re
 from collections import Counter
@@ -21,10 +23,14 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Labelled training rows that are fitted on, by hash of the identifier; the only bound of the model.
+from cardest.llm.common import stored
+
+#: Labelled training rows that evidence is fitted on, by hash of the identifier; the language model has no such bound.
 SAMPLE = 20_000
-#: Entries of the model kept at most: words or word beginnings with evidence, words and n-grams of the language model.
-FEATURES, LEXICON, GRAMS = 50_000, 50_000, 200_000
+#: Words or word beginnings with evidence kept at most.
+FEATURES = 50_000
+#: Distinct words or features a counting task holds before it hands partial counts on.
+HELD = 500_000
 #: What a sign may stand for, in natural order.
 SIGNS = {
     "0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t", "8": "b", "9": "g",
@@ -46,30 +52,76 @@ _ODD = re.compile(rf"(?<![^\W_])(?:[^\W\d_]|[{_SIGN}])*?(?:[^\W\d_][{_SIGN}]+[^\
 _SPACED = re.compile(rf"(?<![^\W_])(?:[^\W\d_]|[{_SIGN}])(?:[ .*_-](?:[^\W\d_]|[{_SIGN}])){{3,}}(?![^\W_])")
 
 
+def word_key(word: str) -> int:
+    """The 64 bits that a word is known by: the first half of its digest, as a signed number."""
+    return int.from_bytes(hashlib.md5(word.encode("utf-8", "surrogatepass")).digest()[:8], "big", signed=True)
+
+
+class Lexicon:
+    """Log probabilities of known words, 12 bytes a word: sorted keys and one number each."""
+
+    def __init__(self, keys: np.ndarray, logs: np.ndarray) -> None:
+        order = np.argsort(keys)
+        self.keys, self.logs = keys[order].astype("int64"), logs[order].astype("float32")
+
+    def __len__(self) -> int:
+        return len(self.keys)
+
+    def get(self, word: str, default: float = -math.inf) -> float:
+        key = word_key(word)
+        i = int(self.keys.searchsorted(key))
+        return float(self.logs[i]) if i < len(self.keys) and self.keys[i] == key else default
+
+
+def grams_of(word: str) -> Iterator[str]:
+    """Character n-grams of a word with its limits, up to ``ORDER``, each ending in a character of the word or its end."""
+    padded = "^" * (ORDER - 1) + word + "$"
+    for i in range(ORDER - 1, len(padded)):
+        for k in range(1, ORDER + 1):
+            yield padded[i - k + 1 : i + 1]
+
+
 @dataclass
 class LanguageModel:
     """Interpolated character n-grams with word limits, and known words."""
 
     grams: dict[str, float] = field(default_factory=dict)
-    words: dict[str, float] = field(default_factory=dict)
+    words: Lexicon = field(default_factory=lambda: Lexicon(np.empty(0, "int64"), np.empty(0)))
     floor: float = math.log(1e-4)
 
     @classmethod
-    def fit(cls, words: Counter) -> LanguageModel:
-        counts: list[Counter] = [Counter() for _ in range(ORDER + 1)]
-        for word, n in words.items():
-            padded = "^" * (ORDER - 1) + word + "$"
-            for i in range(ORDER - 1, len(padded)):
-                for k in range(1, ORDER + 1):
-                    counts[k][padded[i - k + 1 : i + 1]] += n
-                    if k > 1:
-                        counts[0][padded[i - k + 1 : i]] += n
-        total = sum(counts[1].values()) or 1
-        kept = Counter({g: n for k in range(1, ORDER + 1) for g, n in counts[k].items()}).most_common(GRAMS)
-        grams = {g: math.log(n / (total if len(g) == 1 else counts[0][g[:-1]])) for g, n in kept}
-        every = sum(words.values()) or 1
-        known = {w: math.log(n / every) for w, n in words.most_common(LEXICON) if n > 1}
-        return cls(grams, known)
+    def fit(cls, words: DataFrame) -> LanguageModel:
+        """From ``word, n`` of the whole corpus. Words that stand in two texts are known; n-grams are those of all words.
+
+        Both are summed by Spark. What comes to the driver are the distinct n-grams, bounded by the alphabet, and 16 bytes
+        for every known word.
+        """
+
+        def spelled(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            counts = Counter()
+            for b in batches:
+                for word, n in zip(b["word"], b["n"].tolist(), strict=True):
+                    for g in grams_of(word):
+                        counts[g] += n
+                if len(counts) > HELD:
+                    yield pd.DataFrame(list(counts.items()), columns=["gram", "n"])
+                    counts.clear()
+            yield pd.DataFrame(list(counts.items()), columns=["gram", "n"])
+
+        found = words.mapInPandas(spelled, "gram string, n long").groupBy("gram").agg(F.sum("n").alias("n")).toPandas()
+        counts = dict(zip(found["gram"], found["n"].tolist(), strict=True))
+        before: Counter = Counter()
+        for g, n in counts.items():
+            before[g[:-1]] += n
+        grams = {g: math.log(n / before[g[:-1]]) for g, n in counts.items()}
+        every = words.agg(F.sum("n")).first()[0] or 1
+
+        def keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in batches:
+                yield pd.DataFrame({"key": [word_key(w) for w in b["word"]], "n": b["n"]}).astype("int64")
+
+        known = words.where("n > 1").mapInPandas(keyed, "key long, n long").toPandas()
+        return cls(grams, Lexicon(known["key"].to_numpy("int64"), np.log(known["n"].to_numpy("float64") / every)))
 
     def step(self, history: str, char: str) -> float:
         """Log probability of a character after the last ones, backing off to shorter histories."""
@@ -113,7 +165,7 @@ def decode(token: str, model: LanguageModel) -> str:
     ends = [(s + model.step(h, "$"), text) for h, best in states.items() for s, text in best if text]
     if not ends:
         return token
-    scored = [(max(math.log(1 - WORD_SHARE) + s, math.log(WORD_SHARE) + model.words.get(text, -math.inf)), text) for s, text in ends]
+    scored = [(max(math.log(1 - WORD_SHARE) + s, math.log(WORD_SHARE) + model.words.get(text)), text) for s, text in ends]
     return max(scored)[1]
 
 
@@ -176,36 +228,47 @@ def held_out(id_col: str) -> Column:
 
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = SAMPLE) -> ToxicityModel:
-    """Fit on at most ``sample`` labelled rows that are not held out, chosen by hash of the identifier.
+    """The language model from all of ``docs``; evidence from at most ``sample`` labelled rows that are not held out.
 
-    What comes to the driver is bounded by the sample: its identifiers, and the words of its texts with two counts each.
+    One pass counts both, with partial counts per task. What comes to the driver for the evidence is bounded by the sample:
+    its identifiers, and the features of its texts with two counts each. Labels of held-out rows are never read.
     """
     chosen = labels.where(F.col(id_col).isNotNull() & F.col(label_col).isNotNull() & ~held_out(id_col)).groupBy(F.col(id_col).cast("long").alias("i")).agg(F.max(F.col(label_col)).cast("int").alias("y"))
-    chosen = chosen.orderBy(F.xxhash64("i"), "i").limit(sample)
-    texts = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("text")).join(F.broadcast(chosen), "i")  # at most ``sample`` rows
+    chosen = stored(chosen.orderBy(F.xxhash64("i"), "i").limit(sample), "chosen")
+    every = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("text")).join(F.broadcast(chosen), "i", "left")  # chosen: at most ``sample`` rows
 
     def words(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        seen, toxic, plain, n = Counter(), Counter(), Counter(), [0, 0]
+        plain, seen, toxic, n = Counter(), Counter(), Counter(), [0, 0]
+
+        def rows() -> pd.DataFrame:
+            out = [*((w, k, 0, True) for w, k in plain.items()), *((f, k, toxic[f], False) for f, k in seen.items()), ("", n[0] + n[1], n[1], False)]
+            for c in (plain, seen, toxic):
+                c.clear()
+            n[:] = 0, 0
+            return pd.DataFrame(out, columns=["feature", "n", "toxic", "plain"])
+
         for b in batches:
-            for text, y in zip(b["text"], b["y"], strict=True):
-                found = {w for w in _WORD.findall((text or "").lower()) if len(w) <= 64}
+            for text, y in zip(b["text"], b["y"].tolist(), strict=True):
+                found = set(_WORD.findall((text or "").lower()))
                 plain.update(found)
-                found = {f for w in found for f in features(w)}
-                seen.update(found)
-                n[y > 0] += 1
-                if y > 0:
-                    toxic.update(found)
-        rows = [("", n[1] + n[0], n[1], 0), *((w, k, toxic[w], plain[w]) for w, k in seen.items())]
-        yield pd.DataFrame(rows, columns=["feature", "n", "toxic", "plain"])
-
-    counts = texts.mapInPandas(words, "feature string, n long, toxic long, plain long").groupBy("feature").agg(*[F.sum(c).alias(c) for c in ("n", "toxic", "plain")])
-    counts = counts.where("plain > 1 or toxic > 2 or feature = ''").toPandas()
+                if y == y and y is not None:
+                    found = {f for w in found if len(w) <= 64 for f in features(w)}
+                    seen.update(found)
+                    n[y > 0] += 1
+                    if y > 0:
+                        toxic.update(found)
+            if len(plain) + len(seen) > HELD:
+                yield rows()
+        yield rows()
+
+    counted = every.mapInPandas(words, "feature string, n long, toxic long, plain boolean").groupBy("plain", "feature").agg(*[F.sum(c).alias(c) for c in ("n", "toxic")])
+    counted = stored(counted, "words")
+    counts = counted.where("not plain and (toxic > 2 or feature = '')").toPandas()
     total = counts[counts["feature"] == ""][["n", "toxic"]].sum()
-    counts = counts[counts["feature"] != ""]
-    spelled = counts[counts["plain"] > 1]
-    language = LanguageModel.fit(Counter(dict(zip(spelled["feature"], spelled["plain"].tolist(), strict=True))))
-    weights = _weights(counts[counts["toxic"] > 2], int(total["n"]), int(total["toxic"]))
+    language = LanguageModel.fit(counted.where("plain").select(F.col("feature").alias("word"), "n"))
+    weights = _weights(counts[counts["feature"] != ""], int(total["n"]), int(total["toxic"]))
     model = ToxicityModel(language, weights, 0.0, 1.0)
+    texts = every.where("y is not null")
 
     def evidence(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         restorer = Restorer(language)
@@ -257,7 +320,7 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
 
     A null text is empty and gets the score of a text without evidence; null identifiers are never held out; repeated rows
     get equal scores; other columns are not read; an empty table gives an empty result. One pass, no shuffle; the model is
-    broadcast, its size bounded by ``FEATURES``, ``LEXICON`` and ``GRAMS``.
+    broadcast: evidence is bounded by ``FEATURES``, n-grams by the alphabet, and a known word of the corpus takes 12 bytes.
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
     schema = "doc_id bigint, held_out boolean, score double, predicted int" + (", restored string" if with_restored else "")

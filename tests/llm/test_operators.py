@@ -256,6 +256,19 @@ def test_toxicity(spark, sf_dir, empty):
     assert all(x["h"] == (zlib.crc32(str(x["doc_id"]).encode()) % 4 == 2) for x in held)
 
 
+def test_language_model_counts_all_documents(spark):
+    """Unlabelled, held-out and unsampled texts add words and n-grams; their labels add nothing."""
+    rows = [(i, f"plain words of row {'zebu' if i == 9 else 'yak'}") for i in range(1, 10)] + [(100 + i, "quokka wombat") for i in range(3)] + [(None, "quokka"), (200, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    labels = spark.createDataFrame([(i, 0) for i in range(1, 10)], "doc_id long, toxic int")
+    language = toxicity.fit(docs, labels, sample=2).language
+    n = {"plain": 9, "words": 9, "of": 9, "row": 9, "yak": 8, "zebu": 1, "quokka": 4, "wombat": 3}
+    assert {w for w in n if language.words.get(w) > -math.inf} == {w for w, k in n.items() if k > 1} and len(language.words) == 7
+    assert language.words.get("quokka") == pytest.approx(math.log(4 / sum(n.values())), abs=1e-5)
+    assert language.grams["qu"] == 0.0 and language.grams["^ze"] == 0.0
+    assert language.grams["^^q"] == pytest.approx(math.log(4 / sum(n.values())))
+
+
 PAGE = '<html><head><title>t</title></head><body><nav><ul><li>menu</ul></nav><div class="main-menu">m</div><article><h1>Head &amp; more</h1><p>a<br>b  <b>c<p>d</b> e<div class=comments>no</div><form><p>no</p></form><p>{}</p><p>Subscribe to our letter today</p></article><footer>&copy; f</footer></body></html>'
 
 
