@@ -269,6 +269,33 @@ def test_language_model_counts_all_documents(spark):
     assert language.grams["^^q"] == pytest.approx(math.log(4 / sum(n.values())))
 
 
+def test_gaps_are_arcs_of_the_lattice(spark):
+    """Runs of any length and separator, split words, signs at a word's end and doubled letters; plain text stays."""
+    prose = ["you are a stupid man and i hate you", "an idiot in the house, a bad ass", "this is shit, you idiot", "hello to the good area", "he had to go", "we need hello and good books"]
+    docs = spark.createDataFrame([(i, prose[i % len(prose)]) for i in range(60)], "doc_id long, text string")
+    r = toxicity.Restorer(toxicity.fit(docs, docs.select("doc_id", F.lit(0).alias("toxic"))).language)
+    for written, meant in {
+        "you are a s t u p i d man": "you are a stupid man",
+        "i h a t e you": "i hate you",
+        "a s s": "ass",
+        "stu pid": "stupid",
+        "st up id": "stupid",
+        "s  t  u  p  i  d": "stupid",
+        "s/t/u/p/i/d": "stupid",
+        "you s 7 u p 1 d man": "you stupid man",
+        "a$$": "ass",
+        "shi7": "shit",
+        "idi07!!": "idiot!!",
+        "stuupid": "stupid",
+        "s t u p i d " * 40: "stupid " * 40,
+        "id10t" * 40: "idiot" * 40,
+        "hello!! we need good books, he had to go": "hello!! we need good books, he had to go",
+        "he had to go 12 34 in 3 4": "he had to go 12 34 in 3 4",
+    }.items():
+        assert r.restored(written) == meant
+        assert set(re.findall("[a-z]+", meant)) <= r.words(written)
+
+
 PAGE = '<html><head><title>t</title></head><body><nav><ul><li>menu</ul></nav><div class="main-menu">m</div><article><h1>Head &amp; more</h1><p>a<br>b  <b>c<p>d</b> e<div class=comments>no</div><form><p>no</p></form><p>{}</p><p>Subscribe to our letter today</p></article><footer>&copy; f</footer></body></html>'
 
 
