@@ -104,7 +104,16 @@ def projection_counts_supplier(spark, sf_dir):
     return sets.agg((F.countDistinct("subset") + 1).alias("subsets"), F.lit(11).cast("long").alias("growth_bound"))
 
 
-QUERIES = {f.__name__: f for f in (bounds_select_grid, bounds_join_grid, bounds_multijoin_grid, bounds_general_grid, bounds_relative_grid, bounds_numeric_grid, bounds_best, bounds_inverse, bounds_union_contrast, storage_alternatives, deterministic_construction, growth_function_grid, shatter_intervals_small, projection_counts_supplier)}
+def projection_counts_supplier_whole(spark, sf_dir):
+    """The same for all suppliers: the prefixes are nested, so each is known by how many suppliers it holds."""
+    from cardest.estimators.exact import key_counts, running_sum
+
+    s = spark.read.parquet(f"{sf_dir}/supplier.parquet")
+    sets = running_sum(key_counts(s, "s_acctbal"), "k", "n")
+    return sets.agg((F.countDistinct("upto") + 1).alias("subsets"), F.coalesce(F.sum("n") + 1, F.lit(1)).alias("growth_bound"))
+
+
+QUERIES = {f.__name__: f for f in (bounds_select_grid, bounds_join_grid, bounds_multijoin_grid, bounds_general_grid, bounds_relative_grid, bounds_numeric_grid, bounds_best, bounds_inverse, bounds_union_contrast, storage_alternatives, deterministic_construction, growth_function_grid, shatter_intervals_small, projection_counts_supplier, projection_counts_supplier_whole)}
 
 
 def _values(rows) -> str:
@@ -147,5 +156,6 @@ ORACLE = {
 with s as (select k, lo, hi from range(1, 6) a(k), range(0, 7) b(lo), range(0, 7) c(hi)),
 bits as (select k, lo, hi, sum(case when p between lo and hi then pow(2, p) else 0 end) as pattern from s, range(1, 6) d(p) where p <= k group by k, lo, hi)
 select k::bigint as k, count(distinct pattern) as subsets, count(distinct pattern) = pow(2, k) as shattered from bits group by k""",
+    "projection_counts_supplier_whole": "with p as (select s_acctbal, sum(count(*)) over (order by s_acctbal) as upto from supplier where s_acctbal is not null group by 1) select count(distinct upto) + 1 as subsets, (select count(s_acctbal) + 1 from supplier) as growth_bound from p",
     "projection_counts_supplier": "with s as (select * from supplier where s_suppkey < 10), p as (select c.s_acctbal as cut, sum(pow(2, s.s_suppkey)) as sub from s join s c on s.s_acctbal <= c.s_acctbal group by 1) select count(distinct sub) + 1 as subsets, 11::bigint as growth_bound from p",
 }

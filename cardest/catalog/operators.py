@@ -148,6 +148,12 @@ def op_join_theta(spark, d):
     return O.theta_join(c, s, c.c_acctbal < s.s_acctbal).agg(F.count("*").alias("n"), F.sum("s_suppkey").alias("k"))
 
 
+@query("select count(*) as n, sum(s_suppkey)::bigint as k from customer, supplier where c_acctbal < s_acctbal")
+def op_join_theta_whole(spark, d):
+    """All customers and suppliers: counted from running sums over the balances, no pair is formed."""
+    return O.less_join_sums(t(spark, d, "customer"), t(spark, d, "supplier"), "c_acctbal", "s_acctbal", "s_suppkey", "k")
+
+
 @query("select count(*) as n from customer, supplier where c_nationkey <> s_nationkey")
 def op_join_ne(spark, d):
     return O.ne_join_count(t(spark, d, "customer"), t(spark, d, "supplier"), "c_nationkey", "s_nationkey")
@@ -165,6 +171,14 @@ def op_range_join(spark, d):
     return O.range_join(e, p, "value", "lo", "hi", 1.0).select("event_id", "p_partkey")
 
 
+@query("select p.p_partkey, count(*) as events from events e join part p on e.value between p.p_size and p.p_size + 0.5 group by 1")
+def op_range_join_whole(spark, d):
+    """All events and parts; the pairs of a part are counted."""
+    e = t(spark, d, "events").select("value")
+    p = t(spark, d, "part").select("p_partkey", F.col("p_size").cast("double").alias("lo"), (F.col("p_size") + 0.5).alias("hi"))
+    return O.range_join(e, p, "value", "lo", "hi", 1.0).groupBy("p_partkey").agg(F.count("*").alias("events"))
+
+
 @query("""
 with x as (select user_id, ts, event_id, event_type, value from events)
 select p.event_id, (select c.value from x c where c.user_id = p.user_id and c.event_type = 'click' and c.ts <= p.ts order by c.ts desc, c.event_id desc limit 1) as last_value
@@ -195,8 +209,17 @@ def _outer(how, sql):
     ORACLE[f"op_join_{how}"] = f"select doc_id, quality from (select doc_id from documents where doc_id % 3 <> 0) x {sql} join (select doc_id, quality from labels where doc_id % 2 = 0) y using (doc_id)"
 
 
+def _outer_whole(how, sql):
+    def run(spark, d):
+        return t(spark, d, "documents").select("doc_id").join(t(spark, d, "labels").select("doc_id", "quality"), "doc_id", how)
+
+    QUERIES[f"op_join_{how}_whole"] = run
+    ORACLE[f"op_join_{how}_whole"] = f"select doc_id, quality from (select doc_id from documents) x {sql} join (select doc_id, quality from labels) y using (doc_id)"
+
+
 for _h, _q in (("left", "left"), ("right", "right"), ("full", "full")):
     _outer(_h, _q)
+    _outer_whole(_h, _q)
 
 
 @query("select a.n_name as n1, b.n_name as n2 from nation a join nation b on a.n_regionkey = b.n_regionkey and a.n_nationkey < b.n_nationkey")

@@ -29,6 +29,20 @@ def ne_join_count(left: DataFrame, right: DataFrame, c1: str, c2: str) -> DataFr
     return edge_count(left, c1, "!=", right, c2)
 
 
+def less_join_sums(left: DataFrame, right: DataFrame, c1: str, c2: str, value: str, name: str) -> DataFrame:
+    """One row: pairs ``n`` with ``left.c1 < right.c2`` and the sum over them of the right ``value``, both from running sums."""
+    from cardest.estimators.exact import key_counts, running_sum
+
+    wide = "decimal(38,0)"
+    a = key_counts(left, c1).select("k", "n", F.lit(0).cast("long").alias("m"), F.lit(0).cast(wide).alias("v"))
+    b = right.where(F.col(c2).isNotNull()).groupBy(F.col(c2).alias("k")).agg(F.count("*").alias("m"), F.coalesce(F.sum(F.col(value).cast("decimal(20,0)")), F.lit(0)).cast(wide).alias("v"))
+    keys = a.unionByName(b.select("k", F.lit(0).cast("long").alias("n"), "m", "v")).groupBy("k").agg(*[F.sum(c).cast(wide).alias(c) for c in ("n", "m", "v")])
+    before = (F.col("upto") - F.col("n")).cast("decimal(19,0)")
+    total = lambda c: F.sum(before * F.col(c).cast("decimal(19,0)")).cast("long")
+    out = running_sum(keys, "k", "n").agg(F.coalesce(total("m"), F.lit(0)).alias("n"), total("v").alias(name))
+    return out.select("n", F.when(F.col("n") > 0, F.col(name)).alias(name))  # the sum of no pairs is null
+
+
 def range_join(points: DataFrame, spans: DataFrame, point: str, lo: str, hi: str, width: float) -> DataFrame:
     """Points inside intervals: both are cut into bins of ``width``, joined on the bin, checked within. No nested loop."""
     p = points.withColumn("__bin", F.floor(F.col(point) / F.lit(width)))
