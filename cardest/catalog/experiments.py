@@ -42,13 +42,13 @@ def fig_select_correlated_pivot(spark, d):
 
 
 def fig_join(spark, d):
-    """Index-matched, cross-sample and histograms on joins."""
-    return M.error_curve(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN[0], SIZES, ["u1", "jc"], cross=10))
+    """Index-matched, cross-sample and histograms on joins and the selections at their leaves."""
+    return M.error_curve(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN[0], SIZES, ["u1", "jc"], cross=True))
 
 
 def fig_join_zero_rate(spark, d):
     """Small index-matched samples predict nothing where there is something; cross-sample does not."""
-    return M.zero_rate(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN[0], SIZES, ["u1", "jc"], buckets=(), cross=10))
+    return M.zero_rate(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN[0], SIZES, ["u1", "jc"], buckets=(), cross=True))
 
 
 def fig_bucket_insensitivity(spark, d):
@@ -75,7 +75,7 @@ def err_select_correlated(spark, d):
 
 
 def violations_join(spark, d):
-    """Violations of both estimators on joins with five clauses a side."""
+    """Violations of both estimators on joins with five clauses a side and the selections at their leaves."""
     return M.violations(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN5[0], [1400, 7800, 19200], ["u1", "jc"]), EPS)
 
 

@@ -10,8 +10,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from cardest.estimators.counting import counts_of
-from cardest.query.compile import to_column, to_dataframe, to_expr
+from cardest.estimators.counting import batches, counts_of, hits_array
+from cardest.query.compile import spark_value, to_column, to_dataframe, to_expr
 from cardest.query.ir import MIRRORED, Query, clauses
 from cardest.sources import stored
 
@@ -42,6 +42,25 @@ def edge_count(left: DataFrame, c1: str, op: str, right: DataFrame, c2: str) ->
     return upto.agg(F.coalesce(F.sum(before.cast(wide) * F.col("m").cast(wide)), F.lit(0)).cast("long").alias("n"))
 
 
+def equi_counts(queries: dict[str, Query], left: DataFrame, right: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """``*by, query_id, hits``: pairs of equi-joins on the same two columns, selections applied, within equal ``by``.
+
+    Per batch of queries each side is one aggregation, whose counts of all queries stand in one array a key. Queries without
+    pairs have no row.
+    """
+    (e,) = next(iter(queries.values())).joins
+    wide, parts = "decimal(38,0)", []
+    for batch in batches({n: "" for n in queries}, {n: 1 + sum(1 for p in q.selections.values() for _ in clauses(p)) for n, q in queries.items()}):
+        sides = []
+        for df, a, c, n in ((left, e.a1, e.c1, "n"), (right, e.a2, e.c2, "m")):
+            conditions = {name: to_expr(queries[name].selections.get(a)) for name in batch}
+            sides.append(df.where(F.col(f"`{c}`").isNotNull()).groupBy(*by, F.col(f"`{c}`").alias("k")).agg(hits_array(conditions, batch).alias(n)))
+        cells = F.explode(F.arrays_zip(F.expr(f"array({', '.join(map(spark_value, batch))})").alias("query_id"), "n", "m")).alias("x")
+        pairs = sides[0].join(sides[1], [*by, "k"]).select(*by, cells)
+        parts.append(pairs.groupBy(*by, "x.query_id").agg(F.sum(F.col("x.n").cast(wide) * F.col("x.m").cast(wide)).cast("long").alias("hits")))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def running_sum(df: DataFrame, key: str, value: str) -> DataFrame:
     """Adds ``upto``, the sum of ``value`` over keys up to and including the row's, without a single-task sort.
 
@@ -59,9 +78,11 @@ def running_sum(df: DataFrame, key: str, value: str) -> DataFrame:
 def exact_all(queries: dict[str, Query], db: dict[str, DataFrame]) -> DataFrame:
     """``query_id, truth, sigma_true`` for every query.
 
-    Selections of one table share its scan; two-table queries are counted from keys; others run as joins.
+    Selections of one table share its scan, equi-joins on the same columns share two; other two-table queries are counted
+    from keys one by one; the rest run as joins.
     """
     single: dict[str, dict] = defaultdict(dict)
+    equal: dict[tuple, dict[str, Query]] = defaultdict(dict)
     parts, sizes = [], {}
     for t in {t for q in queries.values() for t in q.tables.values()}:
         sizes[t] = db[t].count()
@@ -71,10 +92,17 @@ def exact_all(queries: dict[str, Query], db: dict[str, DataFrame]) -> DataFrame:
             single[t][name] = to_expr(q.selections.get(a))
         elif len(q.tables) == 2 and len(q.joins) == 1:
             (e,) = q.joins
+            if e.op == "=":
+                equal[q.tables[e.a1], q.tables[e.a2], e][name] = q
+                continue
             left, right = (db[q.tables[a]].where(to_column(q.selections.get(a))) for a in (e.a1, e.a2))
             parts.append(edge_count(left, e.c1, e.op, right, e.c2).select(F.lit(name).alias("query_id"), F.col("n").alias("hits")))
         else:
             parts.append(to_dataframe(q, db).agg(F.count("*").alias("hits")).select(F.lit(name).alias("query_id"), "hits"))
+    for (t1, t2, _), group in equal.items():
+        names = db[t1].sparkSession.createDataFrame([(n,) for n in group], "query_id string")
+        found = equi_counts(group, db[t1], db[t2])
+        parts.append(names.join(found, "query_id", "left").select("query_id", F.coalesce("hits", F.lit(0).cast("long")).alias("hits")))
     for t, conditions in single.items():
         parts.append(counts_of(db[t], conditions, {n: sum(1 for p in queries[n].selections.values() for _ in clauses(p)) for n in conditions}))
     whole = {n: math.prod(float(sizes[t]) for t in q.tables.values()) for n, q in queries.items()}

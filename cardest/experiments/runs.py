@@ -32,20 +32,20 @@ def sweep(queries: dict[str, Query], sdb: SampleDB, sizes: list[int], estimator:
     return reduce(DataFrame.unionByName, parts)
 
 
+def leaves(queries: dict[str, Query]) -> dict[str, Query]:
+    """The selections at the leaves of join queries, as queries of one table each."""
+    return {f"{n}/{a}": Query({a: t}, {a: q.selections[a]} if a in q.selections else {}) for n, q in queries.items() for a, t in q.tables.items()}
+
+
 def cross_sweep(queries: dict[str, Query], sdb: SampleDB, sizes: list[int]) -> DataFrame:
-    """Cross-sample estimates of equi-joins at many sizes: key counts of both prefixes, multiplied."""
+    """Cross-sample estimates of equi-joins on the same columns at many sizes: key counts of both prefixes, multiplied."""
     (e,) = next(iter(queries.values())).joins
     size = F.explode(F.array(*[F.lit(s).cast("long") for s in sizes])).alias("size")
-    parts = []
-    for name, q in queries.items():
-        sides = []
-        for a, c, n in ((e.a1, e.c1, "n"), (e.a2, e.c2, "m")):
-            rows = sdb.tables[a].where(sample.to_column(q.selections.get(a))).select(F.col(c).alias("k"), INDEX, size).where(F.col(INDEX) <= F.col("size"))
-            sides.append(rows.groupBy("size", "k").agg(F.count("*").alias(n)))
-        pairs = sides[0].join(sides[1], ["size", "k"]).groupBy("size").agg(F.sum(F.col("n") * F.col("m")).alias("pairs"))
-        every = sdb.tables[e.a1].sparkSession.createDataFrame([(s,) for s in sizes], "size long").join(pairs, "size", "left")
-        parts.append(every.select(F.lit(name).alias("query_id"), F.lit("cross").alias("estimator"), "size", F.lit(sdb.seed).cast("long").alias("seed"), (F.coalesce("pairs", F.lit(0)).cast("double") / (F.col("size") * F.col("size"))).alias("sigma")))
-    return reduce(DataFrame.unionByName, parts)
+    left, right = (sdb.tables[a].select("*", size).where(F.col(INDEX) <= F.col("size")) for a in (e.a1, e.a2))
+    names = left.sparkSession.createDataFrame([(n, s) for n in queries for s in sizes], "query_id string, size long")
+    pairs = names.join(exact.equi_counts(queries, left, right, ("size",)), ["size", "query_id"], "left")
+    sigma = F.coalesce("hits", F.lit(0)).cast("double") / (F.col("size") * F.col("size"))
+    return pairs.select("query_id", F.lit("cross").alias("estimator"), "size", F.lit(sdb.seed).cast("long").alias("seed"), sigma.alias("sigma"))
 
 
 def histogram_results(spark, queries: dict[str, Query], stats: dict[str, H.TableStats], size: int, estimator: str = "histogram", or_rule: str = "add_capped") -> DataFrame:
@@ -68,17 +68,23 @@ def select_results(spark, db, keys, queries: dict[str, Query], sizes: list[int],
     return with_truth(reduce(DataFrame.unionByName, parts), queries, db)
 
 
-def join_results(spark, db, keys, queries: dict[str, Query], sizes: list[int], columns: list[str], buckets=(100,), seed: int = 42, cross: int = 0) -> DataFrame:
-    """The same for joins, with the cross-sample estimator over the first ``cross`` queries."""
+def join_results(spark, db, keys, queries: dict[str, Query], sizes: list[int], columns: list[str], buckets=(100,), seed: int = 42, cross: bool = False) -> DataFrame:
+    """The same for joins and the selections at their leaves, on request with the cross-sample estimator over all of them.
+
+    On a leaf both sample estimators are the same fraction of one sample.
+    """
     tables = next(iter(queries.values())).tables
     sdb = build.create_sample(db, tables, max(sizes), seed, keys)
-    parts = [sweep(queries, sdb, sizes)]
+    single = leaves(queries)
+    both = {**queries, **single}
+    parts = [sweep(both, sdb, sizes)]
     if cross:
         small = SampleDB({a: stored(df, "cross") for a, df in sdb.tables.items()}, sdb.sizes, sdb.s, sdb.seed)
-        parts.append(cross_sweep(dict(list(queries.items())[:cross]), small, sizes))
+        parts.append(cross_sweep(queries, small, sizes))
+        parts.append(parts[0].where(F.col("query_id").isin(list(single))).withColumn("estimator", F.lit("cross")))
     for k in buckets:
-        parts.append(histogram_results(spark, queries, {a: H.build(db[t], columns, [keys[t]], H.HistogramConfig(k)) for a, t in tables.items()}, k))
-    return with_truth(reduce(DataFrame.unionByName, parts), queries, db)
+        parts.append(histogram_results(spark, both, {a: H.build(db[t], columns, [keys[t]], H.HistogramConfig(k)) for a, t in tables.items()}, k))
+    return with_truth(reduce(DataFrame.unionByName, parts), both, db)
 
 
 def seeds_results(spark, db, keys, queries: dict[str, Query], size: int, seeds: range) -> DataFrame:
