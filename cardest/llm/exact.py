@@ -123,7 +123,8 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     found = stored(exact_duplicates(docs, id_col, text_col).select(F.col("doc_id").alias(id_col), "kept", "text_sha256"), "exact-found")
     kept = found.where("kept").select(id_col)
     out = without(docs, found.where("not kept").select(id_col).join(kept, id_col, "left_anti"), id_col)
-    if found.groupBy(id_col).count().where("count > 1").isEmpty():
+    # identifiers alone do not tell which rows stay where they repeat or are missing
+    if found.where(F.col(id_col).isNull() & ~F.col("kept")).isEmpty() and found.groupBy(id_col).count().where("count > 1").isEmpty():
         return out
     turn = F.row_number().over(W.partitionBy(id_col, normalised(F.col(text_col))).orderBy(F.lit(1)))
     stays = found.where("kept").select(F.col(id_col).alias("__id"), F.col("text_sha256").alias("__digest"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from fractions import Fraction
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from cardest.llm import exact, mixing, ngrams, packing, toxicity
 from cardest.llm.common import stored, without
@@ -23,10 +24,16 @@ def exact_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of every class of near copies (five-word shingles, similarity 0.8) the smallest identifier stays."""
-    classes = stored(ngrams.near_copies(docs, n=5, threshold=Fraction(4, 5)), "near-classes")
-    kept = classes.where("doc_id = component_id").select("doc_id")
-    return without(docs, classes.where("doc_id <> component_id").select("doc_id").join(kept, "doc_id", "left_anti"))
+    """Of every class of near copies (five-word shingles, similarity 0.8) the smallest identifier stays.
+
+    Rows without identifier go by a key made of their text, above 2^62, so that they come after all identifiers and one of
+    a class without any stays. Exact copies are gone before this stage, so no two of them have one text.
+    """
+    own = F.shiftrightunsigned(F.xxhash64("text"), 2) + F.lit(2**62)
+    keyed = docs.withColumn("__key", F.coalesce(F.col("doc_id").cast("long"), own))
+    classes = stored(ngrams.near_copies(keyed, n=5, threshold=Fraction(4, 5), id_col="__key").withColumnRenamed("doc_id", "__key"), "near-classes")
+    kept = classes.where("__key = component_id").select("__key")
+    return without(keyed, classes.where("__key <> component_id").select("__key").join(kept, "__key", "left_anti"), "__key").drop("__key")
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

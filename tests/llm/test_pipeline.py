@@ -31,3 +31,15 @@ def test_pipeline(spark, sf_dir):
             seen[r["doc_id"]] = seen.get(r["doc_id"], 0) + 1
     assert seen == {i: n for i, n in copies.items() if n}
     assert [n for n, _ in corpus_pipeline.STAGES] == ["toxicity", "exact dedup", "n-gram Jaccard join", "mixing sources to target weights", "packing"]
+
+
+def test_copies_without_identifier_go(spark):
+    words = [f"w{i}" for i in range(40)]
+    near = " ".join(words + ["x"])
+    rows = [(1, " ".join(words)), (2, "another text of its own, kept as it is"), (None, " ".join(words))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(r["doc_id"] for r in corpus_pipeline.exact_dedup(spark, docs, "").collect()) == [1, 2]
+    rows[2] = (None, near)
+    rows += [(None, "a text without identifier that is a copy of nothing"), (None, None)]
+    left = corpus_pipeline.ngram_jaccard_join(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect()
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in left) == sorted((i or 0, t or "") for i, t in rows if t != near)
