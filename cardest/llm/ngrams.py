@@ -2,10 +2,15 @@
 
 Equal word sequences share one node. A document's distinct n-grams are ordered rare first (document frequencies are sums
 over all documents in a sketch of fixed width; any order is right, a good one is fast) and only a prefix is joined: two
-sets with the wanted similarity share an n-gram of their prefixes. Posting lists never expand into all pairs. First every
-list links neighbours in order of set size; after these pairs are verified, lists whose members have become one component
-are dropped, and in the others only members outside the list's largest component are compared with the rest, in blocks of
-bounded size. So no link between two components is lost, and a group of n near copies costs about n comparisons.
+sets with the wanted similarity share an n-gram of their prefixes. Posting lists never expand into all pairs. They are
+worked on in rounds, and after each the proposals that survive the filters are verified, links are contracted, and lists
+whose members have become one component are left out. First every list, in order of set size, proposes its neighbours.
+Then, in the lists left, the members outside a list's largest component meet all members, in cells of bounded size: once
+to propose only the likeliest partner in every other component, and once more, among what is still apart, to propose all.
+So no link between two components is lost, and members of one component are not compared with each other.
+
+The suffix filter compares counts of both sets by equal ranges of the hash (a signature of about a byte for four n-grams):
+the sum of the lesser counts bounds the intersection. Texts are read again only for pairs that it lets through.
 """
 
 from __future__ import annotations
@@ -16,24 +21,27 @@ from fractions import Fraction
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from cardest.llm.common import attach, components, stored
+from cardest.llm.common import attach, components, narrow_batches, stored
 
 #: Width of the frequency sketch: two to this power of counters, whatever the data.
 SKETCH_BITS = 18
-#: Members of a posting list that are compared in one block.
-BLOCK = 2048
+#: Members of a posting list on either side of one cell of comparisons.
+BLOCK = 512
 #: Names of documents a task remembers, to pass over their copies.
-SEEN = 400_000
-#: Pairs of one vectorised comparison.
-PAIRS = 2_000_000
+SEEN = 200_000
+#: Pairs of one vectorised comparison, and bytes of signatures compared at once.
+PAIRS = 500_000
+SIGNATURE_BYTES = 8_000_000
+#: N-grams a range of the signature holds on average, from 16 ranges on.
+PER_RANGE = 4
+#: Rows of an Arrow batch where a row holds two whole sets.
+WIDE_ROWS = 128
 #: Documents whose identifiers may be broadcast to pick texts for verification: 8 bytes each.
 BROADCAST_IDS = 2_000_000
-#: Depth of the suffix filter's bisection.
-DEPTH = 2
 
 _MIX = (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)
 
@@ -75,25 +83,49 @@ def prefix_length(size: int, t: Fraction) -> int:
 
 def least_overlap(a, b, t: Fraction):
     """Smallest intersection of sets of these sizes with similarity ``t``: ceil(t (a + b) / (1 + t))."""
-    return -(-(t.numerator * (a + b)) // (t.numerator + t.denominator))
-
-
-def suffix_bound(x: np.ndarray, y: np.ndarray, depth: int = DEPTH) -> int:
-    """Upper bound of the intersection of two sorted arrays by bisection at the middle of the second."""
-    if depth == 0 or len(x) == 0 or len(y) == 0:
-        return min(len(x), len(y))
-    m = len(y) // 2
-    i = int(np.searchsorted(x, y[m]))
-    hit = int(i < len(x) and x[i] == y[m])
-    return suffix_bound(x[:i], y[:m], depth - 1) + hit + suffix_bound(x[i + hit :], y[m + 1 :], depth - 1)
+    return -(-(t.numerator * (a + b)) // ((t.numerator + t.denominator)))
+
+
+def signature(grams: np.ndarray) -> bytes:
+    """How many n-grams fall into each of equal ranges of the hash, a byte a range; a power of two of ranges."""
+    bits = max(4, max(0, len(grams) // PER_RANGE - 1).bit_length())
+    while True:
+        counts = np.bincount((grams >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)
+        if counts.max() < 256:
+            return counts.astype(np.uint8).tobytes()
+        bits += 1
+
+
+class Signatures:
+    """Signatures of some nodes, kept by width."""
+
+    def __init__(self, signatures: list[bytes]) -> None:
+        self.width = np.fromiter(map(len, signatures), np.int64, len(signatures))
+        self.row, self.tables = np.zeros(len(signatures), np.int64), {}
+        for w in np.unique(self.width).tolist():
+            here = np.flatnonzero(self.width == w)
+            self.row[here] = np.arange(len(here))
+            self.tables[w] = np.frombuffer(b"".join([signatures[k] for k in here]), np.uint8).reshape(-1, w)
+
+    def room(self, i: np.ndarray, j: np.ndarray, t: Fraction) -> np.ndarray:
+        """By how many n-grams the bound of the pairs' intersections exceeds what ``t`` needs; below 0 a pair is no link."""
+        out, kinds = np.zeros(len(i), np.int64), self.width[i] * (1 << 32) + self.width[j]
+        for kind in np.unique(kinds).tolist():
+            here, (wide, thin) = np.flatnonzero(kinds == kind), divmod(kind, 1 << 32)
+            least, step = min(wide, thin), max(1, SIGNATURE_BYTES // max(wide, thin))
+            for at in range(0, len(here), step):
+                k = here[at : at + step]
+                x, y = self.tables[wide][self.row[i[k]]], self.tables[thin][self.row[j[k]]]
+                need = least_overlap(x.sum(axis=1, dtype=np.int64), y.sum(axis=1, dtype=np.int64), t)
+                x, y = (v if v.shape[1] == least else v.reshape(len(v), least, -1).sum(axis=2, dtype=np.int32) for v in (x, y))
+                out[k] = np.minimum(x, y).sum(axis=1, dtype=np.int64) - need
+        return out
 
 
 def similar(x: np.ndarray, y: np.ndarray, t: Fraction) -> bool:
-    """Whether intersection / union reaches ``t``, exactly; suffix filter first."""
+    """Whether intersection / union reaches ``t``, exactly."""
     need = least_overlap(len(x), len(y), t)
-    if min(len(x), len(y)) < need or suffix_bound(x, y) < need:
-        return False
-    return len(np.intersect1d(x, y, assume_unique=True)) >= need
+    return min(len(x), len(y)) >= need and len(np.intersect1d(x, y, assume_unique=True)) >= need
 
 
 def near_copies(docs: DataFrame, n: int = 5, threshold: Fraction = Fraction(4, 5), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -107,48 +139,50 @@ def near_copies(docs: DataFrame, n: int = 5, threshold: Fraction = Fraction(4, 5
     64-bit name are noticed and all names drawn anew. An empty table gives an empty result.
     """
     t = Fraction(threshold)
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     for seed in range(8):
-        rows, sketch = _read(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), n, seed)
-        clash = rows.groupBy("node").agg(F.min("check").alias("lo"), F.max("check").alias("hi")).where("lo <> hi").isEmpty()
-        if clash:
+        rows, sketch = _read(base, n, seed)
+        if rows.groupBy("node").agg(F.min("check").alias("lo"), F.max("check").alias("hi")).where("lo <> hi").isEmpty():
             break
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    else:
+        raise RuntimeError("near_copies: two texts shared a 64-bit name with each of eight seeds")
+    nodes = stored(rows.where("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("signature").alias("signature")), "ngram-names")
     lists = _posting_lists(base, n, seed, sketch, t)
-    names = rows.where("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    first = _verified(_neighbour_pairs(lists, t), base, names, n, seed, t)
-    found = components(first)
-    second = _verified(_residual_pairs(lists, found, t), base, names, n, seed, t)
-    if not second.isEmpty():
-        found = components(first.unionByName(second))
-    roots = names.join(found, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "doc_id")
+    verifier = _Verifier(base, nodes, n, seed, t)
+    verifier.add(_neighbour_pairs(lists.where("strong"), t))
+    lists = stored(_undecided(lists, verifier.classes()), "ngram-lists")
+    if verifier.add(_residual_pairs(lists, nodes, t, likeliest=True)):
+        lists = stored(_undecided(lists, verifier.classes()), "ngram-lists")
+    verifier.add(_residual_pairs(lists, nodes, t))
+    roots = nodes.select("node", "doc_id").join(verifier.classes(), "node", "left").select("node", F.coalesce("root", "node").alias("root"), "doc_id")
     least = roots.groupBy("root").agg(F.min("doc_id").alias("component_id"))
     classes = roots.join(least, "root").select("node", "component_id")
-    out = attach(rows.where("n_shingles > 0").drop("check"), "node", "doc_id", classes).select("doc_id", "n_shingles", "component_id")
+    out = attach(rows.where("n_shingles > 0").select("doc_id", "node", "n_shingles"), "node", "doc_id", classes).select("doc_id", "n_shingles", "component_id")
     alone = rows.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return out.unionByName(alone)
 
 
 def _read(base: DataFrame, n: int, seed: int) -> tuple[DataFrame, np.ndarray]:
-    """Name and set size of every document, and the document frequencies of all n-grams in the sketch."""
+    """Name, set size and signature of every document, and the document frequencies of all n-grams in the sketch."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingler, counters = Shingler(n, seed), np.zeros(2**SKETCH_BITS, dtype=np.int64)
         for b in batches:
-            sizes, nodes, checks, slots = [], [], [], []
+            sizes, nodes, checks, signatures = [], [], [], []
             for text in b["text"]:
                 words = shingler.words(text)
                 grams = shingler.grams(words)
-                slots.append((grams >> np.uint64(64 - SKETCH_BITS)).astype(np.int64))
+                np.add.at(counters, (grams >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), 1)
                 node, check = shingler.name(words)
                 sizes.append(len(grams))
                 nodes.append(node)
                 checks.append(check)
-            counters += np.bincount(np.concatenate([*slots, np.empty(0, np.int64)]), minlength=2**SKETCH_BITS)
-            yield pd.DataFrame({"kind": 0, "doc_id": b["doc_id"].astype("Int64"), "node": nodes, "check": checks, "n_shingles": sizes})
+                signatures.append(signature(grams) if len(grams) else None)
+            yield pd.DataFrame({"kind": 0, "doc_id": b["doc_id"].astype("Int64"), "node": nodes, "check": checks, "n_shingles": sizes, "signature": signatures})
         hit = np.flatnonzero(counters)
-        yield pd.DataFrame({"kind": 1, "doc_id": pd.array(hit, dtype="Int64"), "node": counters[hit], "check": 0, "n_shingles": 0})
+        yield pd.DataFrame({"kind": 1, "doc_id": pd.array(hit, dtype="Int64"), "node": counters[hit], "check": 0, "n_shingles": 0, "signature": None})
 
-    out = stored(base.mapInPandas(run, "kind int, doc_id bigint, node bigint, check bigint, n_shingles bigint"), "ngram-nodes")
+    out = stored(base.mapInPandas(run, "kind int, doc_id bigint, node bigint, check bigint, n_shingles bigint, signature binary"), "ngram-nodes")
     counts = out.where("kind = 1").groupBy("doc_id").agg(F.sum("node").alias("n")).toPandas()  # at most 2**SKETCH_BITS rows
     sketch = np.zeros(2**SKETCH_BITS, dtype=np.int64)
     sketch[counts["doc_id"].to_numpy(dtype=np.int64)] = counts["n"].to_numpy(dtype=np.int64)
@@ -194,8 +228,19 @@ def _posting_lists(base: DataFrame, n: int, seed: int, sketch: np.ndarray, t: Fr
     rows = rows.withColumn("before", F.lag("node").over(w)).where("before is null or before <> node")  # copies in other tasks
     rows = rows.withColumn("after", F.lead("node").over(w)).where("before is not null or after is not null")
     strong = F.expr(f"(size - pos) * {t.numerator + t.denominator} >= {2 * t.numerator} * size")
-    last = F.last(F.when(strong, F.struct("node", "size", "pos")), ignorenulls=True).over(w.rowsBetween(W.unboundedPreceding, -1))
-    return stored(rows.select("gram", "node", "size", "pos", strong.alias("strong"), last.alias("last")), "ngram-lists")
+    return stored(rows.select("gram", "node", "size", "pos", strong.alias("strong")), "ngram-lists")
+
+
+def _undecided(lists: DataFrame, classes: DataFrame) -> DataFrame:
+    """The lists whose members are of more than one component, with each member's ``root``."""
+    rows = lists.select("gram", "node", "size", "pos")
+    if classes.count() <= BROADCAST_IDS:
+        rows = rows.join(F.broadcast(classes), "node", "left")
+    else:
+        rows = attach(rows, "node", "gram", classes)
+    rows = rows.select("gram", "node", "size", "pos", F.coalesce("root", "node").alias("root"))
+    w = W.partitionBy("gram")
+    return rows.withColumn("low", F.min("root").over(w)).withColumn("high", F.max("root").over(w)).where("low <> high").drop("low", "high")
 
 
 def _passes(rows: DataFrame, t: Fraction) -> DataFrame:
@@ -205,44 +250,56 @@ def _passes(rows: DataFrame, t: Fraction) -> DataFrame:
     return rows.where(f"{room} >= {need}").where(f"least(size, size2) * {t.denominator} >= greatest(size, size2) * {t.numerator}")
 
 
-def _pairs(rows: DataFrame) -> DataFrame:
-    return rows.select(F.greatest("node", "node2").alias("a"), F.least("node", "node2").alias("b")).distinct()
-
-
 def _neighbour_pairs(lists: DataFrame, t: Fraction) -> DataFrame:
-    rows = lists.where("strong and last is not null").select("node", "size", "pos", F.col("last.node").alias("node2"), F.col("last.size").alias("size2"), F.col("last.pos").alias("pos2"))
-    return _pairs(_passes(rows.where("node <> node2"), t))
+    """Members next to each other in a list, by set size: at most one pair a member."""
+    last = F.lag(F.struct("node", "size", "pos")).over(W.partitionBy("gram").orderBy("size", "node"))
+    rows = lists.withColumn("last", last).where("last is not null")
+    rows = rows.select("node", "size", "pos", F.col("last.node").alias("node2"), F.col("last.size").alias("size2"), F.col("last.pos").alias("pos2"))
+    return _passes(rows, t).select(F.greatest("node", "node2").alias("a"), F.least("node", "node2").alias("b")).distinct()
 
 
-def _residual_pairs(lists: DataFrame, found: DataFrame, t: Fraction) -> DataFrame:
-    """Pairs of different components that share a prefix n-gram and pass the filters.
+def _residual_pairs(lists: DataFrame, nodes: DataFrame, t: Fraction, likeliest: bool = False) -> DataFrame:
+    """Pairs of different components that share a prefix n-gram and pass all filters.
 
-    In every list whose members are of more than one component, members outside the largest one (the list's main one) meet
-    all members, dealt into blocks of about ``BLOCK``. Lists with one main component are worked on together, block by
-    block, so that a pair met in many of their lists is made once.
+    In every list, members outside its largest component (the list's main one) meet all members. Both sides are dealt into
+    blocks of about ``BLOCK``, and a cell is a block of either side, over all lists with one main component; a node's
+    signature comes once a cell. A cell's pairs are compared there, and only those that pass leave it; with ``likeliest``,
+    for every asking member and other component only the pair with most room.
     """
-    lists = attach(lists.select("gram", "node", "size", "pos"), "node", "gram", found).withColumn("root", F.coalesce("root", "node"))
-    lists = stored(lists, "ngram-rooted")
     sizes = lists.groupBy("gram", "root").agg(F.count("*").alias("m"))
-    split = sizes.groupBy("gram").agg(F.count("*").alias("roots"), F.sum("m").alias("m"), F.max_by("root", F.struct("m", "root")).alias("main")).where("roots > 1")
-    split = split.join(split.groupBy("main").agg(F.ceil(F.max("m") / BLOCK).cast("int").alias("blocks")), "main")
-    rows = lists.join(split.select("gram", "main", "blocks"), "gram").withColumn("outside", F.col("root") != F.col("main"))
-    members = rows.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("asks", F.lit(False))
-    asking = rows.where("outside").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("asks", F.lit(True))
-    columns = ["main", "block", "gram", "asks", "outside", "node", "size", "pos", "root"]
-    both = members.select(*columns).unionByName(asking.select(*columns)).repartition("main", "block").sortWithinPartitions("main", "block", "gram", "asks")
-    num, whole, den = t.numerator, t.numerator + t.denominator, t.denominator
-
-    def compare(c: dict[str, np.ndarray]) -> pd.DataFrame:
-        """All asking rows of the given whole blocks against the members of their list, some million pairs at a time."""
-        edge = np.flatnonzero(np.r_[True, (c["gram"][1:] != c["gram"][:-1]) | (c["block"][1:] != c["block"][:-1]) | (c["main"][1:] != c["main"][:-1])])
-        group = np.cumsum(np.bincount(edge, minlength=len(c["gram"]))) - 1
-        made = pd.DataFrame({x: np.empty(0, np.int64) for x in ("main", "block", "node", "node2")})
-        members = np.add.reduceat((~c["asks"]).astype(np.int64), edge)  # they come first in a block
-        asking = np.flatnonzero(c["asks"])
+    split = sizes.groupBy("gram").agg(F.sum("m").alias("m"), F.max(F.struct("m", "root")).alias("most")).select("gram", "m", F.col("most.root").alias("main"), (F.col("m") - F.col("most.m")).alias("out"))
+    grid = split.groupBy("main").agg(F.ceil(F.max("m") / BLOCK).cast("int").alias("blocks"), F.ceil(F.max("out") / BLOCK).cast("int").alias("asks"))
+    rows = lists.join(split.select("gram", "main"), "gram").join(grid, "main").withColumn("outside", F.col("root") != F.col("main"))
+
+    def every(n: str):
+        return F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+
+    def own(n: str):
+        return F.pmod(F.xxhash64("node"), F.col(n)).cast("int")
+
+    cell = ["main", "block", "ask"]
+    columns = [*cell, "gram", "asking", "outside", "node", "size", "pos", "root"]
+    members = rows.withColumn("block", own("blocks")).withColumn("ask", every("asks")).withColumn("asking", F.lit(False)).select(*columns)
+    asking = rows.where("outside").withColumn("ask", own("asks")).withColumn("block", every("blocks")).withColumn("asking", F.lit(True)).select(*columns)
+    both = members.unionByName(asking)
+    known = both.select(*cell, "node").distinct().join(nodes.select("node", "signature"), "node")
+    both = both.withColumn("signature", F.lit(None).cast("binary")).unionByName(
+        known.select(*cell, F.lit(0).cast("long").alias("gram"), F.lit(False).alias("asking"), F.lit(False).alias("outside"), "node", F.lit(0).alias("size"), F.lit(0).alias("pos"), F.lit(0).cast("long").alias("root"), "signature")
+    )
+    # a cell's signatures come before its lists
+    both = both.withColumn("row", F.col("signature").isNull()).repartition(*cell).sortWithinPartitions(*cell, "row", "gram", "asking")
+
+    def compare(c: dict[str, np.ndarray], signatures: Signatures) -> pd.DataFrame:
+        """All asking rows of whole lists against the members there, some hundred thousand pairs at a time."""
+        new = (c["gram"][1:] != c["gram"][:-1]) | (c["cell"][1:] != c["cell"][:-1])
+        edge = np.flatnonzero(np.r_[True, new])
+        group = np.r_[0, np.cumsum(new)]
+        members = np.add.reduceat((~c["asking"]).astype(np.int64), edge)  # they come first in a list
+        asking = np.flatnonzero(c["asking"])
         fan = members[group[asking]]
-        upto = np.cumsum(fan)
-        at = 0
+        roots = np.zeros(len(c["names"]), np.int64)
+        roots[c["at"]] = c["root"]
+        upto, at, made = np.cumsum(fan), 0, [pd.DataFrame({"a": np.empty(0, np.int64), "b": np.empty(0, np.int64)})]
         while at < len(asking):
             end = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + PAIRS, side="right")))
             n = fan[at:end]
@@ -250,75 +307,121 @@ def _residual_pairs(lists: DataFrame, found: DataFrame, t: Fraction) -> DataFram
             j = np.repeat(edge[group[asking[at:end]]], n) + np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)
             least, most = np.minimum(c["size"][i], c["size"][j]), np.maximum(c["size"][i], c["size"][j])
             room = np.minimum(c["size"][i] - c["pos"][i], c["size"][j] - c["pos"][j])
-            ok = (room * whole >= (least + most) * num) & (least * den >= most * num) & (c["root"][i] != c["root"][j])
+            ok = (room * (t.numerator + t.denominator) >= (least + most) * t.numerator) & (least * t.denominator >= most * t.numerator) & (c["root"][i] != c["root"][j])
             ok &= ~c["outside"][j] | (c["node"][i] > c["node"][j])
-            if ok.any():
-                a, b = np.maximum(c["node"][i[ok]], c["node"][j[ok]]), np.minimum(c["node"][i[ok]], c["node"][j[ok]])
-                made = pd.concat([made, pd.DataFrame({"main": c["main"][i[ok]], "block": c["block"][i[ok]], "node": a, "node2": b})]).drop_duplicates()
+            x, y = np.divmod(np.unique(c["at"][i[ok]] << 32 | c["at"][j[ok]]), 1 << 32)
+            room = signatures.room(x, y, t)
+            x, y, room = x[room >= 0], y[room >= 0], room[room >= 0]
+            if likeliest:
+                theirs = roots[y]
+                order = np.lexsort((-room, theirs, x))
+                x, y, theirs = x[order], y[order], theirs[order]
+                first = np.r_[True, (x[1:] != x[:-1]) | (theirs[1:] != theirs[:-1])][: len(x)]
+                x, y = x[first], y[first]
+            made.append(pd.DataFrame({"a": c["names"][x], "b": c["names"][y]}))
             at = end
-        return made
+        return pd.concat(made).drop_duplicates()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        """Rows come sorted by main component, block and list; the last list of a batch waits for the next one.
-
-        Pairs made in a block are remembered until it ends, so that its later lists do not make them again.
-        """
-        held: dict[str, np.ndarray] | None = None
-        block, known = (0, -1), set()
-
-        def fresh(c: dict[str, np.ndarray]) -> pd.DataFrame:
-            nonlocal block, known
-            made = compare(c)
-            same = ((made["main"] == block[0]) & (made["block"] == block[1])).to_numpy()
-            pairs = list(zip(made["node"].tolist(), made["node2"].tolist(), strict=True))
-            new = np.fromiter((not s or p not in known for s, p in zip(same, pairs, strict=True)), bool, len(pairs))
-            last = (int(c["main"][-1]), int(c["block"][-1]))
-            if last != block:
-                block, known = last, set()
-            known.update(p for p, m, k in zip(pairs, made["main"].tolist(), made["block"].tolist(), strict=True) if (m, k) == block)
-            return made.loc[new, ["node", "node2"]]
-
+        """Rows come sorted by cell and list; the last list of a batch waits for the next one, with its cell's signatures."""
+        held = None
         for b in batches:
-            c = {x: b[x].to_numpy().astype(np.int64 if x not in ("asks", "outside") else bool) for x in columns}
-            c = c if held is None else {x: np.concatenate([held[x], c[x]]) for x in c}
-            if not len(c["gram"]):
+            b = b if held is None else pd.concat([held, b], ignore_index=True)
+            if not len(b):
                 continue
-            earlier = np.flatnonzero((c["main"] != c["main"][-1]) | (c["block"] != c["block"][-1]) | (c["gram"] != c["gram"][-1]))
-            cut = int(earlier[-1]) + 1 if len(earlier) else 0
-            if cut:
-                yield fresh({x: v[:cut] for x, v in c.items()})
-            held = {x: v[cut:] for x, v in c.items()}
-        if held is not None and len(held["gram"]):
-            yield fresh(held)
-
-    return _pairs(both.mapInPandas(run, "node bigint, node2 bigint"))
-
-
-def _verified(pairs: DataFrame, base: DataFrame, names: DataFrame, n: int, seed: int, t: Fraction) -> DataFrame:
-    """The pairs ``a, b`` that reach the threshold; every pair is computed once, from the whole texts of both."""
-    pairs = stored(pairs, "ngram-pairs")
-    if pairs.isEmpty():
-        return pairs
-    wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct().join(names, "node")
-    wanted = stored(wanted, "ngram-wanted")
-    n_wanted = wanted.count()
-    texts = base.join(F.broadcast(wanted) if n_wanted <= BROADCAST_IDS else wanted, base["doc_id"].eqNullSafe(wanted["doc_id"])).select("node", "text")
-
-    def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        shingler = Shingler(n, seed)
-        for b in batches:
-            words = [shingler.words(x) for x in b["text"]]
-            mine = [shingler.name(w)[0] == node for w, node in zip(words, b["node"], strict=True)]
-            yield pd.DataFrame({"node": b["node"], "grams": [shingler.grams(w).tobytes() for w in words]})[mine]
-
-    grams = stored(texts.mapInPandas(sets, "node bigint, grams binary"), "ngram-sets")
-    if grams.count() > n_wanted:  # rows that repeat an identifier and its text
-        grams = stored(grams.dropDuplicates(["node"]), "ngram-sets")
-
-    def check(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            good = [similar(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), t) for x, y in zip(b["x"], b["y"], strict=True)]
-            yield b.loc[good, ["a", "b"]]
-
-    both = pairs.join(grams.select(F.col("node").alias("b"), F.col("grams").alias("y")), "b").join(grams.select(F.col("node").alias("a"), F.col("grams").alias("x")), "a")
-    return stored(both.select("a", "b", "x", "y").mapInPandas(check, "a bigint, b bigint"), "ngram-links")
+            new = (b[cell].to_numpy()[1:] != b[cell].to_numpy()[:-1]).any(axis=1)
+            b["cell"] = np.r_[0, np.cumsum(new)]
+            last = b["cell"].iat[-1]
+            waits = ((b["cell"] == last) & ((b["gram"] == b["gram"].iat[-1]) | ~b["row"])).to_numpy()
+            yield pairs(b[~waits | ~b["row"].to_numpy()])
+            held = b[waits].drop(columns="cell")
+        if held is not None:
+            held["cell"] = 0
+            yield pairs(held)
+
+    def pairs(b: pd.DataFrame) -> pd.DataFrame:
+        lists = b[b["row"]]
+        if not len(lists):
+            return pd.DataFrame({"a": np.empty(0, np.int64), "b": np.empty(0, np.int64)})
+        known = b[~b["row"]].drop_duplicates("node")
+        index = pd.Index(known["node"])
+        c = {x: lists[x].to_numpy() for x in ("cell", "gram", "asking", "outside", "node", "root")} | {x: lists[x].to_numpy(np.int64) for x in ("size", "pos")}
+        c |= {"at": index.get_indexer(lists["node"]).astype(np.int64), "names": index.to_numpy()}
+        return compare(c, Signatures(known["signature"].tolist()))
+
+    made = both.mapInPandas(run, "a bigint, b bigint")
+    return made.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+
+
+class _Verifier:
+    """Verified links so far, and what was fetched to find them: every text is read and every pair compared at most once."""
+
+    def __init__(self, base: DataFrame, nodes: DataFrame, n: int, seed: int, t: Fraction) -> None:
+        self.base, self.nodes, self.n, self.seed, self.t = base, nodes, n, seed, t
+        self.spark: SparkSession = base.sparkSession
+        empty = self.spark.range(0).where("false")
+        self.links = self.tested = empty.select(F.col("id").alias("a"), F.col("id").alias("b"))
+        self.sets = empty.select(F.col("id").alias("node"), F.lit(b"").alias("grams"))
+        self.found: DataFrame | None = None
+
+    def classes(self) -> DataFrame:
+        """``node, root`` of all nodes with a link."""
+        if self.found is None:
+            self.found = stored(components(self.links), "ngram-classes")
+        return self.found
+
+    def add(self, pairs: DataFrame) -> bool:
+        """Verify proposed pairs; whether there are links among them."""
+        pairs = stored(self._likely(pairs.join(self.tested, ["a", "b"], "left_anti")), "ngram-pairs")
+        if pairs.isEmpty():
+            return False
+        self.tested = self.tested.unionByName(pairs)
+        self._fetch(pairs)
+        n, t = self.n, self.t
+
+        def check(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in batches:
+                good = [similar(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), t) for x, y in zip(b["x"], b["y"], strict=True)]
+                yield b.loc[good, ["a", "b"]]
+
+        both = pairs.join(self.sets.select(F.col("node").alias("b"), F.col("grams").alias("y")), "b").join(self.sets.select(F.col("node").alias("a"), F.col("grams").alias("x")), "a")
+        with narrow_batches(self.spark, WIDE_ROWS):
+            links = stored(both.select("a", "b", "x", "y").mapInPandas(check, "a bigint, b bigint"), "ngram-links")
+        if links.isEmpty():
+            return False
+        self.links, self.found = self.links.unionByName(links), None
+        return True
+
+    def _likely(self, pairs: DataFrame) -> DataFrame:
+        """The pairs whose signatures allow the threshold."""
+        t, ends = self.t, self.nodes.select("node", "signature")
+
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in batches:
+                i = np.arange(len(b))
+                yield b.loc[Signatures([*b["x"], *b["y"]]).room(i, i + len(b), t) >= 0, ["a", "b"]]
+
+        both = pairs.join(ends.toDF("a", "x"), "a").join(ends.toDF("b", "y"), "b")
+        return both.select("a", "b", "x", "y").mapInPandas(run, "a bigint, b bigint")
+
+    def _fetch(self, pairs: DataFrame) -> None:
+        """Sets of the pairs' nodes that no earlier round has fetched."""
+        n, seed = self.n, self.seed
+        wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct().join(self.sets.select("node"), "node", "left_anti")
+        wanted = stored(wanted.join(self.nodes.select("node", "doc_id"), "node"), "ngram-wanted")
+        n_wanted = wanted.count()
+        if not n_wanted:
+            return
+        texts = self.base.join(F.broadcast(wanted) if n_wanted <= BROADCAST_IDS else wanted, self.base["doc_id"].eqNullSafe(wanted["doc_id"])).select("node", "text")
+
+        def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            shingler = Shingler(n, seed)
+            for b in batches:
+                words = [shingler.words(x) for x in b["text"]]
+                mine = [shingler.name(w)[0] == node for w, node in zip(words, b["node"], strict=True)]
+                yield pd.DataFrame({"node": b["node"], "grams": [shingler.grams(w).tobytes() for w in words]})[mine]
+
+        grams = stored(texts.mapInPandas(sets, "node bigint, grams binary"), "ngram-sets")
+        if grams.count() > n_wanted:  # rows that repeat an identifier and its text
+            grams = stored(grams.dropDuplicates(["node"]), "ngram-sets")
+        self.sets = self.sets.unionByName(grams)
