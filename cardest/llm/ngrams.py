@@ -38,7 +38,8 @@ PAIRS = 500_000
 SIGNATURE_BYTES = 8_000_000
 #: N-grams a range of the signature holds on average, from 16 ranges on.
 PER_RANGE = 4
-#: Rows of an Arrow batch where a row holds two whole sets.
+#: Rows of an Arrow batch where a row holds a text, or two whole sets.
+TEXT_ROWS = 1000
 WIDE_ROWS = 128
 #: Documents whose identifiers may be broadcast to pick texts for verification: 8 bytes each.
 BROADCAST_IDS = 2_000_000
@@ -182,7 +183,8 @@ def _read(base: DataFrame, n: int, seed: int) -> tuple[DataFrame, np.ndarray]:
         hit = np.flatnonzero(counters)
         yield pd.DataFrame({"kind": 1, "doc_id": pd.array(hit, dtype="Int64"), "node": counters[hit], "check": 0, "n_shingles": 0, "signature": None})
 
-    out = stored(base.mapInPandas(run, "kind int, doc_id bigint, node bigint, check bigint, n_shingles bigint, signature binary"), "ngram-nodes")
+    with narrow_batches(base.sparkSession, TEXT_ROWS):
+        out = stored(base.mapInPandas(run, "kind int, doc_id bigint, node bigint, check bigint, n_shingles bigint, signature binary"), "ngram-nodes")
     counts = out.where("kind = 1").groupBy("doc_id").agg(F.sum("node").alias("n")).toPandas()  # at most 2**SKETCH_BITS rows
     sketch = np.zeros(2**SKETCH_BITS, dtype=np.int64)
     sketch[counts["doc_id"].to_numpy(dtype=np.int64)] = counts["n"].to_numpy(dtype=np.int64)
@@ -228,7 +230,8 @@ def _posting_lists(base: DataFrame, n: int, seed: int, sketch: np.ndarray, t: Fr
     rows = rows.withColumn("before", F.lag("node").over(w)).where("before is null or before <> node")  # copies in other tasks
     rows = rows.withColumn("after", F.lead("node").over(w)).where("before is not null or after is not null")
     strong = F.expr(f"(size - pos) * {t.numerator + t.denominator} >= {2 * t.numerator} * size")
-    return stored(rows.select("gram", "node", "size", "pos", strong.alias("strong")), "ngram-lists")
+    with narrow_batches(base.sparkSession, TEXT_ROWS):
+        return stored(rows.select("gram", "node", "size", "pos", strong.alias("strong")), "ngram-lists")
 
 
 def _undecided(lists: DataFrame, classes: DataFrame) -> DataFrame:
@@ -269,7 +272,8 @@ def _residual_pairs(lists: DataFrame, nodes: DataFrame, t: Fraction, likeliest:
     sizes = lists.groupBy("gram", "root").agg(F.count("*").alias("m"))
     split = sizes.groupBy("gram").agg(F.sum("m").alias("m"), F.max(F.struct("m", "root")).alias("most")).select("gram", "m", F.col("most.root").alias("main"), (F.col("m") - F.col("most.m")).alias("out"))
     grid = split.groupBy("main").agg(F.ceil(F.max("m") / BLOCK).cast("int").alias("blocks"), F.ceil(F.max("out") / BLOCK).cast("int").alias("asks"))
-    rows = lists.join(split.select("gram", "main"), "gram").join(grid, "main").withColumn("outside", F.col("root") != F.col("main"))
+    # one row a list meets its grid, then the members meet one row a list: a large component's lists stay spread out
+    rows = lists.join(split.select("gram", "main").join(grid, "main"), "gram").withColumn("outside", F.col("root") != F.col("main"))
 
     def every(n: str):
         return F.explode(F.sequence(F.lit(0), F.col(n) - 1))
@@ -421,7 +425,8 @@ class _Verifier:
                 mine = [shingler.name(w)[0] == node for w, node in zip(words, b["node"], strict=True)]
                 yield pd.DataFrame({"node": b["node"], "grams": [shingler.grams(w).tobytes() for w in words]})[mine]
 
-        grams = stored(texts.mapInPandas(sets, "node bigint, grams binary"), "ngram-sets")
+        with narrow_batches(self.spark, TEXT_ROWS):
+            grams = stored(texts.mapInPandas(sets, "node bigint, grams binary"), "ngram-sets")
         if grams.count() > n_wanted:  # rows that repeat an identifier and its text
             grams = stored(grams.dropDuplicates(["node"]), "ngram-sets")
         self.sets = self.sets.unionByName(grams)

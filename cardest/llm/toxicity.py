@@ -18,7 +18,7 @@ import re
 from collections import Counter
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
-from functools import lru_cache
+from functools import cached_property, lru_cache
 from hashlib import md5
 from itertools import groupby, product
 from operator import itemgetter
@@ -63,10 +63,18 @@ _STRONG = re.compile(rf"[^\W\d_][{_SIGN}]+[^\W\d_]|[{_SIGN}][^\W\d_]{{2}}|([^\W\
 _DOUBLE = re.compile(r"([^\W\d_])\1")
 _TAIL = re.compile(rf"[{_SIGN}]+$")
 _RUN = re.compile(r"(.)\1*", re.DOTALL)
+_ODD_RUN = re.compile(rf"([^\W\d_])\1+|([{_SIGN}])\2*")
 #: Fragments of at most three characters, apart by at most three separators of any kind.
 _SHORT = rf"{_PART}{{1,3}}(?!{_PART})"
 _GAP = rf"(?:(?![{_SIGN}])[\W_]){{1,3}}"
 _SHORTS = re.compile(rf"(?<![^\W_])(?<![{_SIGN}]){_SHORT}(?:{_GAP}{_SHORT})+")
+#: The same two for texts without underscores and without decimal digits beyond ASCII, where one class holds all parts.
+_FOREIGN = frozenset(c for c in map(chr, range(128, 0x110000)) if c.isdecimal())
+_RUNS = rf"[\w{_SIGN}]"
+_PLAIN_FRAGMENT = re.compile(rf"{_RUNS}+")
+_PLAIN_SHORTS = re.compile(rf"(?<!{_RUNS}){_RUNS}{{1,3}}(?!{_RUNS})(?:[^\w{_SIGN}]{{1,3}}{_RUNS}{{1,3}}(?!{_RUNS}))+")
+#: Longest token or run whose reading is remembered, so that a number of entries is a number of bytes.
+REMEMBERED = 64
 #: Fragments that one word may be written in.
 SPLIT = 24
 
@@ -176,8 +184,19 @@ def run_readings(char: str, n: int) -> list[tuple[str, float]]:
 
 
 def lattice(token: str) -> list[list[tuple[str, float]]]:
-    """Per run of equal characters its readings, each with a cost: once, twice, or as written."""
-    return [run_readings(c, sum(1 for _ in run)) for c, run in groupby(token)]
+    """Per run of equal characters its readings, each with a cost: once, twice, or as written. Letters that stand alone
+    have one reading and go together."""
+    out, at = [], 0
+    for m in _ODD_RUN.finditer(token):
+        if m.start() > at:
+            out += plain_steps(token[at : m.start()])
+        out.append(run_readings(token[m.start()], m.end() - m.start()))
+        at = m.end()
+    return out + plain_steps(token[at:]) if at < len(token) else out
+
+
+def plain_steps(letters: str) -> list[list[tuple[str, float]]]:
+    return [[(letters, 0.0)]] if letters.isalpha() else [run_readings(c, 1) for c in letters]
 
 
 def word_score(text: str, spelled: float, model: LanguageModel) -> float:
@@ -253,39 +272,49 @@ def decode(token: str, model: LanguageModel) -> str:
 
 
 class Restorer:
-    """Restored words of a text; readings are remembered up to a bound."""
+    """Restored words of a text; readings of short tokens are remembered, up to a bound."""
 
-    def __init__(self, model: LanguageModel, remember: int = 600_000) -> None:
+    def __init__(self, model: LanguageModel, remember: int = 300_000) -> None:
         self.model, self.remember = model, remember
         self.known: dict[str, str] = {}
         self.runs: dict[str, str] = {}
         self.logs: dict[str, float] = {}
         self.scored: dict[str, tuple[float, str]] = {}
+        #: Letters only, read as they are; runs without a gap to close.
+        self.plain: set[str] = set()
+        self.still: set[str] = set()
+
+    def keep(self, memory: dict | set, key: str) -> bool:
+        """Whether ``key`` may be remembered; a full memory is emptied first."""
+        if len(memory) >= self.remember:
+            memory.clear()
+        return len(key) <= REMEMBERED
 
     def log(self, word: str) -> float:
         p = self.logs.get(word)
         if p is None:
-            if len(self.logs) > self.remember:
-                self.logs.clear()
-            p = self.logs[word] = self.model.words.get(word)
+            p = self.model.words.get(word)
+            if self.keep(self.logs, word):
+                self.logs[word] = p
         return p
 
     def read(self, token: str) -> str:
         word = self.known.get(token)
         if word is None:
-            if len(self.known) > self.remember:
-                self.known.clear()
-            plain = not _WORD.search(token) or (token.isalpha() and not _DOUBLE.search(token))
-            word = self.known[token] = token if plain else decode(token, self.model)
+            if not _WORD.search(token) or (token.isalpha() and not _DOUBLE.search(token)):
+                return token
+            word = decode(token, self.model)
+            if self.keep(self.known, token):
+                self.known[token] = word
         return word
 
     def close(self, run: str) -> str:
         """A run of short fragments with the gaps closed that make its words more likely."""
         text = self.runs.get(run)
         if text is None:
-            if len(self.runs) > self.remember:
-                self.runs.clear()
-            text = self.runs[run] = self._close(run)
+            text = self._close(run)
+            if self.keep(self.runs, run):
+                self.runs[run] = text
         return text
 
     def _close(self, run: str) -> str:
@@ -302,14 +331,16 @@ class Restorer:
     def _stretches(self, parts: list[str]) -> list[tuple[int, int]]:
         """Where gaps may be closed: by single characters with what stands next to them, and where fragments together are a
         known word that is more frequent than each of them."""
-        get, n = self.log, len(parts)
-        logs = [get(x) for x in parts]
+        log, seen, n = self.log, self.logs.get, len(parts)
+        logs = [log(x) if (p := seen(x)) is None else p for x in parts]
         spans = [(max(i - 1, 0), min(i + 3, n)) for i in range(n - 1) if len(parts[i]) == len(parts[i + 1]) == 1 and (parts[i] + parts[i + 1]).strip(_SIGNS)]
         for i in range(n - 1):
             text, top = parts[i], logs[i]
             for j in range(i + 1, min(i + 6, n)):
-                text, top = text + parts[j], max(top, logs[j])
-                if text.isalpha() and get(text) > top:
+                text += parts[j]
+                if logs[j] > top:
+                    top = logs[j]
+                if text.isalpha() and (log(text) if (p := seen(text)) is None else p) > top:
                     spans.append((i, j + 1))
         out: list[tuple[int, int]] = []
         for a, b in sorted(spans):
@@ -347,27 +378,37 @@ class Restorer:
         key = " ".join(parts)
         found = self.scored.get(key)
         if found is None:
-            if len(self.scored) > self.remember:
-                self.scored.clear()
-            found = self.scored[key] = search([x for s in steps for x in s], self.model)
+            found = search([x for s in steps for x in s], self.model)
+            if self.keep(self.scored, key):
+                self.scored[key] = found
         return found
 
     def words(self, text: str | None) -> set[str]:
         """Distinct words in lower case, as written and as restored."""
         text = (text or "").lower()
-        found, get = set(_FRAGMENT.findall(text)), self.known.get
-        for token in tuple(found):
-            word = get(token) or self.read(token)
-            if word != token:
-                found.update(_WORD.findall(word))
-            if not token.isalpha():
+        if not (text.isascii() or _FOREIGN.isdisjoint(set(text))):
+            fragment, shorts = _FRAGMENT, _SHORTS
+        else:
+            text, fragment, shorts = text.replace("_", " "), _PLAIN_FRAGMENT, _PLAIN_SHORTS
+        found = set(fragment.findall(text))
+        for token in found - self.plain:
+            word = self.read(token)
+            if token.isalpha():
+                if word != token:
+                    found.update(_WORD.findall(word))
+                elif self.keep(self.plain, token):
+                    self.plain.add(token)
+            else:
                 found.discard(token)
                 found.update(_WORD.findall(token))
-        get = self.runs.get
-        for run in set(_SHORTS.findall(text)):
-            closed = get(run) or self.close(run)
+                if word != token:
+                    found.update(_WORD.findall(word))
+        for run in set(shorts.findall(text)) - self.still:
+            closed = self.close(run)
             if closed != run:
                 found.update(_WORD.findall(closed))
+            elif self.keep(self.still, run):
+                self.still.add(run)
         return found
 
     def restored(self, text: str | None) -> str:
@@ -388,13 +429,45 @@ class ToxicityModel:
     bias: float
     slope: float
 
-    def evidence(self, words: Iterable[str]) -> float:
-        """Sum over the words of the strongest weight among a word and its beginnings."""
+    def weight(self, word: str) -> float:
+        """The strongest weight among a word and its beginnings."""
         get = self.weights.get
-        return sum(max(map(lambda f: get(f, 0.0), features(w))) for w in words)
+        return max([get(f, 0.0) for f in features(word)])
+
+    def evidence(self, words: Iterable[str]) -> float:
+        return math.fsum(map(self.weight, words))
+
+    def curve(self, evidence: float) -> float:
+        return 1 / (1 + math.exp(-max(-30.0, min(30.0, self.bias + self.slope * evidence))))
 
     def score(self, words: Iterable[str]) -> float:
-        return 1 / (1 + math.exp(-max(-30.0, min(30.0, self.bias + self.slope * self.evidence(words)))))
+        return self.curve(self.evidence(words))
+
+    @cached_property
+    def scorer(self) -> Scorer:
+        """One a Python worker, so that its tasks share what it remembers; not part of what is sent to them."""
+        return Scorer(self)
+
+
+class Scorer:
+    """Scores of whole texts under a model; words without evidence are remembered, up to a bound."""
+
+    def __init__(self, model: ToxicityModel) -> None:
+        self.model, self.restorer, self.idle = model, Restorer(model.language), set()
+        #: A word without one of these beginnings has no evidence: a feature is a word or at least its first four letters.
+        self.heads = {f.removesuffix("*")[: STEMS[0]] for f in model.weights}
+
+    def evidence(self, text: str | None) -> float:
+        found, weight, heads, k = [], self.model.weight, self.heads, STEMS[0]
+        for word in self.restorer.words(text) - self.idle:
+            if word[:k] in heads and (w := weight(word)):
+                found.append(w)
+            elif self.restorer.keep(self.idle, word):
+                self.idle.add(word)
+        return math.fsum(found)
+
+    def score(self, text: str | None) -> float:
+        return self.model.curve(self.evidence(text))
 
 
 def held_out(id_col: str) -> Column:
@@ -446,9 +519,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     texts = every.where("y is not null")
 
     def evidence(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        restorer = Restorer(language)
+        scorer = Scorer(model)
         for b in batches:
-            yield pd.DataFrame({"x": [model.evidence(restorer.words(x)) for x in b["text"]], "y": b["y"]})
+            yield pd.DataFrame({"x": [scorer.evidence(x) for x in b["text"]], "y": b["y"]})
 
     known = texts.mapInPandas(evidence, "x double, y int").toPandas()  # at most ``sample`` rows
     model.bias, model.slope = _calibrate(known["x"].to_numpy(), known["y"].to_numpy())
@@ -501,23 +574,12 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
     schema = "doc_id bigint, held_out boolean, score double, predicted int" + (", restored string" if with_restored else "")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        restorer, mine = Restorer(shared.value.language), shared.value
-        get, memory = mine.weights.get, {}
-
-        def weight(word: str) -> float:
-            w = memory.get(word)
-            if w is None:
-                if len(memory) > 500_000:
-                    memory.clear()
-                w = memory[word] = max(get(f, 0.0) for f in features(word))
-            return w
-
+        scorer = shared.value.scorer
         for b in batches:
-            x = np.array([sum(map(weight, restorer.words(t))) for t in b["text"]], dtype=float)
-            s = 1 / (1 + np.exp(-np.clip(mine.bias + mine.slope * x, -30, 30)))
+            s = np.array([scorer.score(t) for t in b["text"]], dtype=float)
             out = pd.DataFrame({"doc_id": b["doc_id"].astype("Int64"), "held_out": b["held_out"], "score": s, "predicted": (s >= threshold).astype("int32")})
             if with_restored:
-                out["restored"] = [restorer.restored(t) for t in b["text"]]
+                out["restored"] = [scorer.restorer.restored(t) for t in b["text"]]
             yield out
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), held_out(id_col).alias("held_out"), F.col(text_col).alias("text")).mapInPandas(run, schema)
@@ -529,8 +591,8 @@ def scorer(spark: SparkSession, model: ToxicityModel):
 
     @F.pandas_udf("double")
     def toxic(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        restorer = Restorer(shared.value.language)
+        scorer = shared.value.scorer
         for texts in parts:
-            yield pd.Series([shared.value.score(restorer.words(t)) for t in texts], dtype="float64")
+            yield pd.Series([scorer.score(t) for t in texts], dtype="float64")
 
     return toxic
