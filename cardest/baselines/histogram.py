@@ -168,7 +168,8 @@ def sel_clause(s: ColumnStats, op: str, x) -> float:
     if op == "!=":
         return 1 - sel_eq(s, x)
     le = sel_le(s, x)
-    lt = max(0.0, le - sel_eq(s, x))
+    # the histogram's share is the same for both; only a common value that equals x tells them apart
+    lt = max(0.0, le - s.common.get(value_of(x), 0.0))
     return {"<=": le, "<": lt, ">": 1 - le, ">=": 1 - lt}[op]
 
 

@@ -73,5 +73,8 @@ select min(ts) as start, max(ts) + interval '1 hour' as stop, event_type, count(
     "stream_dedup": "select event_type, count(*) as n from events group by 1",
     "stream_reservoir": f"select event_id, event_type from events order by {u60_sql(SEED, repr('stream'), 'event_id')}, event_id limit 200",
     "stream_join_dimension": "select c_mktsegment, count(*) as n from events join customer on user_id = c_custkey group by 1",
+    "stream_append_windows": """
+select time_bucket(interval '1 hour', ts) as start, time_bucket(interval '1 hour', ts) + interval '1 hour' as stop, event_type, count(*) as n, sum(event_id)::bigint as ids
+from events group by 1, 2, 3 having time_bucket(interval '1 hour', min(ts)) + interval '1 hour' <= (select max(ts) - interval '1 hour' from events)""",
     "stream_stateful_totals": "select event_type, count(*) as n from events group by 1",
 }

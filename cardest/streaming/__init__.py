@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -13,9 +14,20 @@ from cardest.sources import fresh_path
 
 
 def as_files(events: DataFrame, parts: int = 4) -> str:
-    """The table as files in time order, a stand-in for what arrives one after another; returns their folder."""
-    path = fresh_path(events.sparkSession, "arrivals")
+    """The table as files in time order, a stand-in for what arrives one after another; returns their folder.
+
+    The parts are written together, so their times of writing say nothing; each is given a time after the part before it,
+    which is the order in which the stream takes them.
+    """
+    spark = events.sparkSession
+    path = fresh_path(spark, "arrivals")
     events.repartitionByRange(parts, "ts").sortWithinPartitions("ts").write.parquet(path)
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+    names = sorted(n for n in (f.getPath().getName() for f in fs.listStatus(folder)) if n.startswith("part-"))
+    first = int(time.time() * 1000) - 1000 * len(names)
+    for k, name in enumerate(names):
+        fs.setTimes(spark._jvm.org.apache.hadoop.fs.Path(folder, name), first + 1000 * k, -1)
     return path
 
 
