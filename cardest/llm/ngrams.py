@@ -88,13 +88,11 @@ def least_overlap(a, b, t: Fraction):
 
 
 def signature(grams: np.ndarray) -> bytes:
-    """How many n-grams fall into each of equal ranges of the hash, a byte a range; a power of two of ranges."""
+    """How many n-grams fall into each of equal ranges of the hash, a byte a range (255: that many or more); a power of two
+    of ranges."""
     bits = max(4, max(0, len(grams) // PER_RANGE - 1).bit_length())
-    while True:
-        counts = np.bincount((grams >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)
-        if counts.max() < 256:
-            return counts.astype(np.uint8).tobytes()
-        bits += 1
+    counts = np.bincount((grams >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)
+    return np.minimum(counts, 255).astype(np.uint8).tobytes()
 
 
 class Signatures:
@@ -109,7 +107,10 @@ class Signatures:
             self.tables[w] = np.frombuffer(b"".join([signatures[k] for k in here]), np.uint8).reshape(-1, w)
 
     def room(self, i: np.ndarray, j: np.ndarray, t: Fraction) -> np.ndarray:
-        """By how many n-grams the bound of the pairs' intersections exceeds what ``t`` needs; below 0 a pair is no link."""
+        """By how many n-grams the bound of the pairs' intersections exceeds what ``t`` needs; below 0 a pair is no link.
+
+        Where a range is full its count is unknown, and the pair has all room.
+        """
         out, kinds = np.zeros(len(i), np.int64), self.width[i] * (1 << 32) + self.width[j]
         for kind in np.unique(kinds).tolist():
             here, (wide, thin) = np.flatnonzero(kinds == kind), divmod(kind, 1 << 32)
@@ -117,9 +118,10 @@ class Signatures:
             for at in range(0, len(here), step):
                 k = here[at : at + step]
                 x, y = self.tables[wide][self.row[i[k]]], self.tables[thin][self.row[j[k]]]
+                full = (x.max(axis=1) == 255) | (y.max(axis=1) == 255)
                 need = least_overlap(x.sum(axis=1, dtype=np.int64), y.sum(axis=1, dtype=np.int64), t)
                 x, y = (v if v.shape[1] == least else v.reshape(len(v), least, -1).sum(axis=2, dtype=np.int32) for v in (x, y))
-                out[k] = np.minimum(x, y).sum(axis=1, dtype=np.int64) - need
+                out[k] = np.where(full, 1 << 40, np.minimum(x, y).sum(axis=1, dtype=np.int64) - need)
         return out
 
 

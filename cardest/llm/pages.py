@@ -10,6 +10,7 @@ from __future__ import annotations
 import hashlib
 import html as entities
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -60,6 +61,12 @@ def parse(page: str) -> Node:
     root = Node("#page")
     stack, at = [root], 0
     low = None
+    opened: Counter = Counter()  # by tag, so that an end without a beginning is passed over at once
+
+    def shut(i: int) -> None:
+        opened.subtract(x.tag for x in stack[i:])
+        del stack[i:]
+
     while True:
         m = _TOKEN.search(page, at)
         text = page[at : m.start()] if m else page[at:]
@@ -75,26 +82,26 @@ def parse(page: str) -> Node:
         tag = m[2].lower()
         if m[1]:
             # an end tag closes its element and all inside it, unless a block stands between an inline element and its end
-            for i in range(len(stack) - 1, 0, -1):
+            for i in range(len(stack) - 1, 0, -1) if opened[tag] else ():
                 if stack[i].tag == tag:
-                    del stack[i:]
+                    shut(i)
                     break
                 if tag not in BLOCKS and tag not in DROPPED and stack[i].tag in BLOCKS:
                     break
             continue
         if tag in ENDS_P:
-            for i in range(len(stack) - 1, 0, -1):
+            for i in range(len(stack) - 1, 0, -1) if opened["p"] else ():
                 if stack[i].tag == "p":
-                    del stack[i:]
+                    shut(i)
                     break
                 if stack[i].tag in BLOCKS:
                     break
         if tag in ("li", "dt", "dd", "tr", "td", "th", "option"):
             same = {"dt": ("dt", "dd"), "dd": ("dt", "dd"), "td": ("td", "th"), "th": ("td", "th"), "tr": ("tr",)}.get(tag, (tag,))
             limit = ("ul", "ol", "dl", "table", "select", "menu") if tag != "td" and tag != "th" else ("tr", "table")
-            for i in range(len(stack) - 1, 0, -1):
+            for i in range(len(stack) - 1, 0, -1) if any(opened[x] for x in same) else ():
                 if stack[i].tag in same:
-                    del stack[i:]
+                    shut(i)
                     break
                 if stack[i].tag in limit:
                     break
@@ -112,6 +119,7 @@ def parse(page: str) -> Node:
             at = len(page) if close < 0 else close + 1
         elif tag not in VOID and not m[3].endswith("/"):
             stack.append(node)
+            opened[tag] += 1
 
 
 def unwanted(node: Node) -> bool:
@@ -125,33 +133,46 @@ def unwanted(node: Node) -> bool:
     return "hidden" in a or a.get("aria-hidden") == "true" or "display:none" in a.get("style", "").replace(" ", "") or bool(marks and MARKS.search(marks.lower()))
 
 
-def hashed(node: Node) -> str:
-    """Canonical text of a subtree; sets ``key``, its 64-bit hash, on every element."""
-    inner = "".join(hashed(c) if isinstance(c, Node) else _SPACE.sub(" ", c).strip() for c in node.children)
-    whole = f"<{node.tag}>{inner}</>"
-    digest = hashlib.blake2b(whole.encode("utf-8", "surrogatepass"), digest_size=8).digest()
-    node.key = int.from_bytes(digest, "little", signed=True)
-    return f"<{digest.hex()}>"
+def parents_first(top: Node) -> list[Node]:
+    """All elements of a subtree; without recursion, so that no depth of nesting is too much."""
+    out, todo = [], [top]
+    while todo:
+        node = todo.pop()
+        out.append(node)
+        todo += [c for c in node.children if isinstance(c, Node)]
+    return out
+
+
+def hashed(top: Node) -> None:
+    """Set ``key``, the 64-bit hash of the canonical text of its subtree, on every element."""
+    for node in reversed(parents_first(top)):
+        inner = "".join([f"<{c.key.to_bytes(8, 'little', signed=True).hex()}>" if isinstance(c, Node) else _SPACE.sub(" ", c).strip() for c in node.children])
+        whole = f"<{node.tag}>{inner}</>"
+        node.key = int.from_bytes(hashlib.blake2b(whole.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little", signed=True)
 
 
 def region(root: Node) -> list[Node]:
     """Where the article is: outermost article elements that are not comments, else main, else the body, else all."""
     for wanted in ("article", "main", "body"):
-        found: list[Node] = []
-        _outermost(root, wanted, found)
+        found = _outermost(root, wanted)
         if found:
             return found
     return [root]
 
 
-def _outermost(node: Node, tag: str, found: list[Node]) -> None:
-    for c in node.children:
-        if isinstance(c, Node):
-            marks = f"{c.attributes.get('class', '')} {c.attributes.get('id', '')} {c.attributes.get('itemtype', '')}".lower()
-            if c.tag == tag and not MARKS.search(marks) and "comment" not in marks:
-                found.append(c)
-            elif c.tag not in DROPPED and not unwanted(c):
-                _outermost(c, tag, found)
+def _outermost(root: Node, tag: str) -> list[Node]:
+    found, todo = [], [root]
+    while todo:
+        node = todo.pop()
+        if node is not root:
+            marks = f"{node.attributes.get('class', '')} {node.attributes.get('id', '')} {node.attributes.get('itemtype', '')}".lower()
+            if node.tag == tag and not MARKS.search(marks) and "comment" not in marks:
+                found.append(node)
+                continue
+            if node.tag in DROPPED or unwanted(node):
+                continue
+        todo += [c for c in reversed(node.children) if isinstance(c, Node)]
+    return found
 
 
 def blocks(nodes: list[Node], template: set[int] | None = None) -> list[str]:
@@ -165,26 +186,24 @@ def blocks(nodes: list[Node], template: set[int] | None = None) -> list[str]:
             out.append(text)
         piece.clear()
 
-    def walk(node: Node, top: bool) -> None:
-        if not top and (unwanted(node) or (template and node.key in template)):
-            if node.tag in BLOCKS or node.tag in DROPPED:
+    for top in nodes:
+        todo: list[Node | str | None] = [top]
+        while todo:
+            item = todo.pop()
+            if item is None:  # the end of a block
                 flush()
-            return
-        block = node.tag in BLOCKS
-        if block:
-            flush()
-        for c in node.children:
-            if isinstance(c, str):
-                piece.append(c)
-            elif c.tag == "br":
+            elif isinstance(item, str):
+                piece.append(item)
+            elif item.tag == "br" and item is not top:
                 piece.append(" ")
+            elif item is not top and (unwanted(item) or (template and item.key in template)):
+                if item.tag in BLOCKS or item.tag in DROPPED:
+                    flush()
             else:
-                walk(c, False)
-        if block:
-            flush()
-
-    for n in nodes:
-        walk(n, True)
+                if item.tag in BLOCKS:
+                    flush()
+                    todo.append(None)
+                todo += reversed(item.children)
         flush()
     return out
 
@@ -192,15 +211,13 @@ def blocks(nodes: list[Node], template: set[int] | None = None) -> list[str]:
 def repeated_candidates(root: Node) -> set[int]:
     """Keys of the subtrees that hold text and may be template: blocks of the region below its top."""
     keys: set[int] = set()
-
-    def walk(node: Node) -> bool:
-        has = any([walk(c) if isinstance(c, Node) else bool(c.strip()) for c in node.children])  # all children are walked
-        if has and node.tag in BLOCKS and node.tag not in ("html", "body", "main", "article"):
-            keys.add(node.key)
-        return has
-
-    for n in region(root):
-        walk(n)
+    for top in region(root):
+        holds: set[int] = set()  # elements with text in them, by identity
+        for node in reversed(parents_first(top)):
+            if any(id(c) in holds if isinstance(c, Node) else c.strip() for c in node.children):
+                holds.add(id(node))
+                if node.tag in BLOCKS and node.tag not in ("html", "body", "main", "article"):
+                    keys.add(node.key)
     return keys
 
 

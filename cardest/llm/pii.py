@@ -3,18 +3,22 @@
 from __future__ import annotations
 
 import hashlib
+import math
 import re
+from bisect import bisect_left
+from collections import Counter
 from collections.abc import Iterator
+from itertools import accumulate
 from typing import NamedTuple
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
 #: The kinds, in the order in which spans with one start are listed; the first four are the base.
-KINDS = ("email", "ip", "card", "phone", "iban", "ssn", "local_phone")
+KINDS = ("email", "ip", "card", "phone", "iban", "ssn", "local_phone", "secret")
 BASE = KINDS[:4]
 #: Score of a proposal, and words that raise it when they stand nearby.
-PRIOR = {"email": 0.9, "ip": 0.7, "card": 0.5, "phone": 0.7, "iban": 0.5, "ssn": 0.3, "local_phone": 0.3}
+PRIOR = {"email": 0.9, "ip": 0.7, "card": 0.5, "phone": 0.7, "iban": 0.5, "ssn": 0.3, "local_phone": 0.3, "secret": 0.3}
 CHECKED = 0.4
 NEARBY = 0.4
 CONTEXT = {
@@ -25,6 +29,7 @@ CONTEXT = {
     "iban": ("iban", "account", "bank", "konto", "compte", "cuenta"),
     "ssn": ("ssn", "social", "security"),
     "local_phone": ("phone", "tel", "call", "mobile", "fax", "telefon", "telefono", "portable"),
+    "secret": ("token", "secret", "key", "apikey", "password", "passwd", "bearer", "credential"),
 }
 #: A proposal counts from this score on; characters on either side in which context words are sought.
 ACCEPT = 0.6
@@ -32,12 +37,18 @@ WINDOW = 40
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
-_IP = re.compile(r"[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
+# a digit run is tried from its first digit only: what fails there fails at its later digits too
+_IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 _DIGITS = re.compile(r"[0-9](?:[ -]?[0-9])++")
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 _IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
 _SSN = re.compile(r"(?<![0-9-])(?!000|666|9)[0-9]{3}-(?!00)[0-9]{2}-(?!0000)[0-9]{4}(?![0-9-])")
 _LOCAL_PHONE = re.compile(r"(?<![0-9+.-])\(?[0-9]{3}\)?[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9-])")
+_SECRET = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{20,}={0,2}(?![A-Za-z0-9+/_=-])|-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----")
+#: Beginnings of keys that say what they are.
+_ISSUED = re.compile(r"AKIA[0-9A-Z]{16}$|gh[pousr]_[A-Za-z0-9]{36,}$|sk_live_[A-Za-z0-9]{16,}$|xox[abprs]-|AIza[A-Za-z0-9_-]{35}$|-----BEGIN ")
+#: Bits a character that a drawn key has at least.
+ENTROPY = 3.0
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -67,6 +78,14 @@ def mod97(code: str) -> bool:
     return rest == 1
 
 
+def drawn(code: str) -> bool:
+    """Whether a run of letters and digits looks drawn at random: both kinds, and few repeats."""
+    if not (any(c.isdigit() for c in code) and any(c.isalpha() for c in code)):
+        return False
+    n = len(code)
+    return -sum(k / n * math.log2(k / n) for k in Counter(code).values()) >= ENTROPY
+
+
 def emails(text: str) -> Iterator[tuple[int, int]]:
     """Leftmost addresses in linear time: every @ is tried with the whole run before it that no earlier match has used."""
     used, at = 0, text.find("@")
@@ -111,6 +130,10 @@ def proposals(text: str) -> Iterator[tuple[str, int, int, bool]]:
         yield "ssn", m.start(), m.end(), False
     for m in _LOCAL_PHONE.finditer(text):
         yield "local_phone", m.start(), m.end(), False
+    for m in _SECRET.finditer(text):
+        issued = bool(_ISSUED.match(m.group()))
+        if issued or drawn(m.group()):
+            yield "secret", m.start(), m.end(), issued
 
 
 def find_spans(text: str | None, accept: float = ACCEPT) -> list[Span]:
@@ -123,7 +146,9 @@ def find_spans(text: str | None, accept: float = ACCEPT) -> list[Span]:
         near = any(w.startswith(CONTEXT[kind]) for w in _WORD.findall(around.lower()))
         span = Span(start, KINDS.index(kind), end, round(min(1.0, PRIOR[kind] + CHECKED * checked + NEARBY * near), 2))
         (base if kind in BASE else more).append(span)
-    more = [s for s in more if s.score >= accept and not any(s.start < b.end and b.start < s.end for b in base)]
+    base.sort()
+    starts, ends = [b.start for b in base], [0, *accumulate((b.end for b in base), max)]
+    more = [s for s in more if s.score >= accept and ends[bisect_left(starts, s.end)] <= s.start]
     return sorted(base + more)
 
 
