@@ -1,8 +1,9 @@
 """Embedding near-duplicates: int8 tile products with rigorous error bounds, full precision only where they leave doubt.
 
-Equal vectors are one node with a count. Nodes are dealt to the nearest of a bounded set of pivot directions and then into
-blocks of bounded size; two blocks meet unless the angle between their pivots, less the largest angles inside both cells,
-exceeds the angle of the threshold (triangle inequality, so no link is lost). A pair of blocks is one task: it quantises
+Equal vectors are one node with a count. Nodes are dealt to the nearest of a bounded set of pivot directions, a cell each.
+Large cells are cut into blocks of bounded size, small ones bundled into one; two blocks meet unless for all their cells the
+angle between the pivots, less the largest angles inside both cells, exceeds the angle of the threshold (triangle inequality,
+so no link is lost). A pair of blocks is one task: it quantises
 both, multiplies them tile by tile and returns one row per linked vector: how many links it has there and one edge of a
 spanning forest, so that a group of n near copies costs n rows, not n squared.
 """
@@ -15,13 +16,14 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from cardest.llm.common import attach, components, stored
 
 #: Pivot directions: a bounded sample of the vectors, by hash of the identifier.
 PIVOTS = 64
-#: Vectors of one block; a task holds two blocks.
+#: Vectors of one block, twice as many at most where cells are bundled; a task holds two blocks.
 BLOCK_ROWS = 8192
 #: Rows of one tile of the product.
 TILE = 1024
@@ -132,9 +134,14 @@ def _block_links(nodes: DataFrame, threshold: float, pivots: int, block_rows: in
                     angle[here] = np.arccos(np.clip(cosine.max(axis=1), -1, 1))
             yield pd.DataFrame({"width": width, "cell": cell, "angle": angle, "node": b["node"], "copies": b["copies"], "vector": b["vector"]})
 
-    placed = stored(nodes.mapInPandas(place, "width int, cell int, angle double, node bigint, copies bigint, vector array<double>"), "vector-cells")
+    kind = nodes.schema["vector"].dataType.simpleString()  # vectors travel as they are stored
+    placed = stored(nodes.mapInPandas(place, f"width int, cell int, angle double, node bigint, copies bigint, vector {kind}"), "vector-cells")
     cells = placed.groupBy("width", "cell").agg(F.max("angle").alias("angle"), F.count("*").alias("n"))
-    blocks = F.ceil(F.col("n") / block_rows).cast("int")
+    small = F.when(F.col("n") < block_rows, F.col("n")).otherwise(0)
+    before = F.sum(small).over(W.partitionBy("width").orderBy("cell")) - small  # at most ``pivots`` rows a width
+    # a bundle is named by its number, a large cell by its own one, below zero
+    bundle = F.when(F.col("n") < block_rows, F.floor(before / block_rows)).otherwise(-1 - F.col("cell")).cast("int")
+    cells = stored(cells.withColumn("bundle", bundle), "vector-bundles")
     # a block's cells within reach: at most as many as there are pivots
     near_of = cells.select("width", F.col("cell").alias("other"), F.col("angle").alias("other_angle"))
 
@@ -147,15 +154,18 @@ def _block_links(nodes: DataFrame, threshold: float, pivots: int, block_rows: in
             yield b[keep][["width", "cell", "other"]]
 
     near = cells.select("width", "cell", "angle").join(near_of, "width").where("cell <= other").mapInPandas(meets, "width int, cell int, other int")
-    many = cells.select("width", "cell", blocks.alias("blocks"))
-    meet = near.join(many, ["width", "cell"]).join(many.select("width", F.col("cell").alias("other"), F.col("blocks").alias("others")), ["width", "other"])
-    meet = meet.withColumn("i", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("others") - 1))).where("cell < other or i <= j")
-    meet = stored(meet.select(F.xxhash64("width", "cell", "i", "other", "j").alias("pair"), "width", "cell", "i", "other", "j"), "vector-meet")
-    sides = meet.select("pair", "width", "cell", F.col("i").alias("block"), F.lit(0).alias("side")).unionByName(
-        meet.where("cell <> other or i <> j").select("pair", "width", F.col("other").alias("cell"), F.col("j").alias("block"), F.lit(1).alias("side"))
+    blocks = F.when(F.col("bundle") < 0, F.ceil(F.col("n") / block_rows)).otherwise(1).cast("int")
+    many = cells.select("width", "cell", "bundle", blocks.alias("blocks"))
+    others = many.select("width", F.col("cell").alias("other"), F.col("bundle").alias("with"), F.col("blocks").alias("others"))
+    meet = near.join(many, ["width", "cell"]).join(others, ["width", "other"])
+    meet = meet.select("width", F.least("bundle", "with").alias("bundle"), F.greatest("bundle", "with").alias("with"), F.when(F.col("bundle") <= F.col("with"), F.col("blocks")).otherwise(F.col("others")).alias("blocks"), F.when(F.col("bundle") <= F.col("with"), F.col("others")).otherwise(F.col("blocks")).alias("others")).distinct()
+    meet = meet.withColumn("i", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("others") - 1))).where("bundle < with or i <= j")
+    meet = stored(meet.select(F.xxhash64("width", "bundle", "i", "with", "j").alias("pair"), "width", "bundle", "i", "with", "j"), "vector-meet")
+    sides = meet.select("pair", "width", "bundle", F.col("i").alias("block"), F.lit(0).alias("side")).unionByName(
+        meet.where("bundle <> with or i <> j").select("pair", "width", F.col("with").alias("bundle"), F.col("j").alias("block"), F.lit(1).alias("side"))
     )
     dealt = placed.join(many, ["width", "cell"]).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    work = dealt.join(sides, ["width", "cell", "block"]).select("pair", "side", "node", "copies", "vector")
+    work = dealt.join(sides, ["width", "bundle", "block"]).select("pair", "side", "node", "copies", "vector")
 
     def link(group: pd.DataFrame) -> pd.DataFrame:
         group = group.sort_values(["side", "node"], ignore_index=True)
