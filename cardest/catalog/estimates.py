@@ -146,8 +146,13 @@ def est_cross_key_join(spark, sf_dir):
     return sample.cross_estimate(q, sdb).crossJoin(matched)  # one row each
 
 
+def est_cross_of_samples(spark, sf_dir):
+    """All combinations of the rows of two samples, formed: what the shared index and the key counts make unnecessary."""
+    return sample.cross_of_samples(_pair("="), build.create_sample(bench(spark, sf_dir), PAIR, 400, SEED, SAMPLE_KEYS))
+
+
 def est_plan_nodes_star(spark, sf_dir):
-    """All operators of a plan over seven tables from one paired frame per set of tables, same sample."""
+    """All operators of a plan over seven tables from one pass of one paired frame."""
     sdb = build.create_sample(bench(spark, sf_dir), chain(5).tables, 20000, SEED, SAMPLE_KEYS)
     return sample.estimate_all(star_nodes(5), sdb).select("query_id", "hits", "sigma")
 
@@ -220,7 +225,7 @@ QUERIES = (
     | {f"est_cross_{n}": _cross(op) for n, op in OPS.items()}
     | {f"est_literal_{n}": _literal(op) for n, op in OPS.items()}
     | {f"exact_join_{n}": _exact_join(op) for n, op in OPS.items()}
-    | {f.__name__: f for f in (est_cross_key_join, est_plan_nodes_star, est_relative, est_intervals, est_wilson, est_exact_small_table, est_online, exact_select_batch, exact_select_correlated, exact_select_native, exact_join_keys, exact_multijoin)}
+    | {f.__name__: f for f in (est_cross_key_join, est_cross_of_samples, est_plan_nodes_star, est_relative, est_intervals, est_wilson, est_exact_small_table, est_online, exact_select_batch, exact_select_correlated, exact_select_native, exact_join_keys, exact_multijoin)}
 )
 
 
@@ -253,6 +258,7 @@ ORACLE = (
     | {f"exact_join_{n}": f"select 'all' as query_id, n as truth from ({to_sql(_pair(op, False))}) x union all select 'some', n from ({to_sql(_pair(op))}) y" for n, op in OPS.items()}
     | {
         "est_cross_key_join": "with " + ", ".join(sample_sql("o", "orders", 1400) + sample_sql("l", "lineitem", 1400)) + " select count(*) as pairs, count(*)::double / 1960000 as sigma, count(*) filter (where o.sampleindex = l.sampleindex) as hits from s_o o join s_l l on o.o_orderkey = l.l_orderkey",
+        "est_cross_of_samples": f"select pairs as hits, sigma from ({_cross_sql('=', 400)}) x",
         "est_plan_nodes_star": _nodes_sql(20000),
         "est_relative": f"select query_id, round(sigma, 9) as sigma, round(case when sigma > 1.2 * 0.1 then sigma / 1.2 else 0 end, 9) as lo, round(least(1, case when sigma > 1.2 * 0.1 then sigma / 0.8 else greatest(0.1, sigma / 0.8) end), 9) as hi from ({_REL}) x",
         "est_intervals": f"select query_id, round(greatest(0, sigma - {_HALF}), 9) as lo, round(least(1, sigma + {_HALF}), 9) as hi from ({_PART}) x",

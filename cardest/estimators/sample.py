@@ -8,7 +8,6 @@ Cross-sample: all combinations of sample rows, index ignored, counted from key c
 from __future__ import annotations
 
 import math
-from collections import defaultdict
 from collections.abc import Iterable
 from dataclasses import dataclass
 from functools import reduce
@@ -44,18 +43,36 @@ def weight(q: Query) -> int:
     return len(q.joins) + sum(1 for p in q.selections.values() for _ in clauses(p))
 
 
-def estimate_all(queries: dict[str, Query], sdb: SampleDB) -> DataFrame:
-    """``query_id, s, hits, sigma, cardinality`` of every query, one aggregation per set of tables."""
-    groups: dict[tuple[str, ...], dict[str, Query]] = defaultdict(dict)
+def frames(queries: dict[str, Query], sdb: SampleDB) -> list[tuple[tuple[str, ...], dict[str, Query]]]:
+    """Queries by the aliases of the frame that counts them.
+
+    Sets that share an alias share the frame of their union: every alias has one row per index, so a wider frame has the same
+    indices. That does not hold without replacement, for whole tables and for empty ones, whose sets stay apart.
+    """
+    groups: list[tuple[frozenset[str], dict[str, Query]]] = []
     for name, q in queries.items():
-        groups[tuple(sorted(q.aliases))][name] = q
+        aliases = frozenset(q.aliases)
+        full = sdb.replacement and not aliases & sdb.exact and all(sdb.sizes[a] for a in aliases)
+        joined = [g for g in groups if (g[0] == aliases if not full else g[0] & aliases and not g[0] & sdb.exact and all(sdb.sizes[a] for a in g[0]))]
+        merged: dict[str, Query] = {}
+        for g in joined:
+            aliases |= g[0]
+            merged |= g[1]
+            groups.remove(g)
+        groups.append((aliases, merged | {name: q}))
+    return [(tuple(sorted(aliases)), group) for aliases, group in groups]
+
+
+def estimate_all(queries: dict[str, Query], sdb: SampleDB) -> DataFrame:
+    """``query_id, s, hits, sigma, cardinality`` of every query; all nodes of a plan are counted in one pass of one frame."""
+    whole = {n: math.prod(float(sdb.sizes[a]) for a in q.aliases) for n, q in queries.items()}
     parts = []
-    for aliases, group in groups.items():
+    for aliases, group in frames(queries, sdb):
         rows = sdb.sizes[aliases[0]] if set(aliases) <= sdb.exact else sdb.s
-        whole = math.prod(float(sdb.sizes[a]) for a in aliases)
         hits = counts_of(paired_frame(sdb, aliases), {n: condition(q) for n, q in group.items()}, {n: weight(q) for n, q in group.items()}, keep=True)
+        product = F.broadcast(hits.sparkSession.createDataFrame([(n, whole[n]) for n in group], "query_id string, __product double"))
         sigma = F.col("hits").cast("double") / F.lit(float(max(rows, 1)))
-        parts.append(hits.select("query_id", F.lit(rows).cast("long").alias("s"), "hits", sigma.alias("sigma"), (sigma * F.lit(whole)).alias("cardinality")))
+        parts.append(hits.join(product, "query_id").select("query_id", F.lit(rows).cast("long").alias("s"), "hits", sigma.alias("sigma"), (sigma * F.col("__product")).alias("cardinality")))
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -74,6 +91,20 @@ def estimate_literal(q: Query, sdb: SampleDB) -> DataFrame:
     return hits.agg(F.count("*").alias("hits")).select("hits", (F.col("hits").cast("double") / F.lit(float(sdb.s))).alias("sigma"))
 
 
+def cross_of_samples(q: Query, sdb: SampleDB) -> DataFrame:
+    """The naive product of samples, ``hits, sigma``: all combinations of sample rows taken for independent draws.
+
+    The fraction is that of ``cross_estimate``, found by forming the combinations: s to the power of the tables, so for
+    small samples only. Combinations share rows, hence no guarantee of the theorem holds for their number.
+    """
+    out = None
+    for a in q.aliases:
+        df = prefixed(sdb.tables[a].where(to_column(q.selections[a])) if a in q.selections else sdb.tables[a], a)
+        out = df if out is None else out.crossJoin(df)
+    hits = out.where(reduce(and_, map(edge_column, q.joins), F.lit(True))).agg(F.count("*").alias("hits"))
+    return hits.select("hits", (F.col("hits").cast("double") / F.lit(float(sdb.s) ** len(q.aliases))).alias("sigma"))
+
+
 def cross_estimate(q: Query, sdb: SampleDB) -> DataFrame:
     """Cross-sample estimate of a two-table query: ``pairs, sigma``; never materialises the pairs."""
     (e,) = q.joins

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from cardest.functions.rng import draws, u60
 from cardest.query.normalize import QueryClass
+from cardest.sources import stored
 from cardest.theory import capacity
 
 #: Draws that are broadcast to the scan (16 bytes each); beyond, table and draws are joined by a shuffle.
@@ -61,11 +62,43 @@ def draw_by_key(df: DataFrame, key: str, population: int, s: int, seed: int, ali
     return df.join(d, df[key] == d["pos"]).drop("pos")
 
 
+def ranked(df: DataFrame, order: list[str]) -> DataFrame:
+    """Adds ``pos``, the row's place from 0 in the order of columns, which should be total. No task sorts more than its range.
+
+    Rows are parted by range and sorted within the parts; the sizes of the parts, one row each, give every part its start.
+    """
+    parts = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    ranged = df.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+    return numbered(stored(placed(ranged), "ranked"))[0]
+
+
+def placed(df: DataFrame) -> DataFrame:
+    """Adds a row's partition, ``__p``, and its place there, ``__i``."""
+    return df.withColumn("__p", F.spark_partition_id()).withColumn("__i", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1))
+
+
+def numbered(df: DataFrame) -> tuple[DataFrame, int]:
+    """``df`` with ``pos`` instead of partition and place, and its number of rows."""
+    counts = df.groupBy("__p").count().orderBy("__p").collect()  # one row per partition
+    base, offsets = 0, []
+    for r in counts:
+        offsets.append((r["__p"], base))
+        base += r["count"]
+    starts = F.broadcast(df.sparkSession.createDataFrame(offsets, "__p int, __base long"))
+    return df.join(starts, "__p").withColumn("pos", F.col("__base") + F.col("__i")).drop("__p", "__i", "__base"), base
+
+
+def at_positions(df: DataFrame, population: int, s: int, seed: int, alias: str) -> DataFrame:
+    """The draws of a table that has its positions in ``pos``."""
+    if population == 0:
+        return df.drop("pos").withColumn(INDEX, F.lit(0).cast("long")).limit(0)
+    d = draws(df.sparkSession, s, seed, alias, population)
+    return df.join(F.broadcast(d) if s <= BROADCAST_DRAWS else d, "pos").drop("pos")
+
+
 def draw_by_rank(df: DataFrame, order: list[str], s: int, seed: int, alias: str) -> DataFrame:
-    """Positions by a total order of columns: a global sort, for small tables and checks against SQL only."""
-    ranked = df.withColumn("pos", (F.row_number().over(W.orderBy(*order)) - 1).cast("long"))
-    d = F.broadcast(draws(df.sparkSession, s, seed, alias, df.count()))
-    return ranked.join(d, "pos").drop("pos")
+    """Positions by a total order of columns, for tables without a dense key whose draws must not depend on their files."""
+    return at_positions(ranked(df, order), df.count(), s, seed, alias)
 
 
 def draw_by_file_row(spark: SparkSession, path: str, s: int, seed: int, alias: str, columns: list[str] | None = None) -> DataFrame:
@@ -95,18 +128,7 @@ def draw_by_file_row(spark: SparkSession, path: str, s: int, seed: int, alias: s
 
 def draw_by_partition(df: DataFrame, s: int, seed: int, alias: str) -> DataFrame:
     """Draws from any deterministic input: rows per partition, then place in the partition. Two passes."""
-    placed = df.withColumn("__p", F.spark_partition_id()).withColumn("__i", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1))
-    counts = placed.groupBy("__p").count().orderBy("__p").collect()  # one row per partition
-    base, offsets = 0, []
-    for r in counts:
-        offsets.append((r["__p"], base))
-        base += r["count"]
-    if not offsets:
-        return df.withColumn(INDEX, F.lit(0).cast("long")).limit(0)
-    spark = df.sparkSession
-    starts = F.broadcast(spark.createDataFrame(offsets, "__p int, __base long"))
-    d = draws(spark, s, seed, alias, base)
-    return placed.join(starts, "__p").withColumn("pos", F.col("__base") + F.col("__i")).join(F.broadcast(d) if s <= BROADCAST_DRAWS else d, "pos").drop("__p", "__i", "__base", "pos")
+    return at_positions(*numbered(placed(df)), s, seed, alias)
 
 
 def without_replacement(df: DataFrame, s: int, seed: int, alias: str, key: list[str]) -> DataFrame:
@@ -127,9 +149,10 @@ def create_sample(
     """``s`` draws of every alias. ``keys`` has per table its dense key, or a list of columns in total order.
 
     Only ``columns`` of a table (all by default) and the index are kept. Sizes are counted unless given; a table is
-    counted once, however many aliases it has.
+    counted and, without a dense key, ranked once, however many aliases it has.
     """
     sizes = dict(sizes or {})
+    by_rank: dict[str, DataFrame] = {}
     tables: dict[str, DataFrame] = {}
     for a, t in aliases.items():
         df = db[t]
@@ -145,7 +168,9 @@ def create_sample(
         elif isinstance(key, str):
             tables[a] = draw_by_key(df, key, sizes[t], s, seed, a)
         else:
-            tables[a] = draw_by_rank(df, key, s, seed, a)
+            if t not in by_rank:
+                by_rank[t] = ranked(df, key)
+            tables[a] = at_positions(by_rank[t], sizes[t], s, seed, a)
     return SampleDB(tables, {a: sizes[t] for a, t in aliases.items()}, s, seed, dict(aliases), replacement=replacement)
 
 
