@@ -45,6 +45,10 @@ class SampleDB:
             raise ValueError(f"the sample has {self.s} draws")
         return replace(self, tables={a: df.where(F.col(INDEX) <= s) for a, df in self.tables.items()}, s=s)
 
+    def kept(self) -> SampleDB:
+        """The sample written to the shared folder: drawn once, however many estimates read it."""
+        return replace(self, tables={a: stored(df, "sample") for a, df in self.tables.items()})
+
     def cached(self) -> SampleDB:
         for df in self.tables.values():
             df.cache()
@@ -144,15 +148,19 @@ def bernoulli_sample(df: DataFrame, fraction: float, seed: int) -> DataFrame:
 
 
 def create_sample(
-    db: dict[str, DataFrame], aliases: dict[str, str], s: int, seed: int, keys: dict[str, str | list[str]], columns: dict[str, list[str]] | None = None, replacement: bool = True, sizes: dict[str, int] | None = None
+    db: dict[str, DataFrame], aliases: dict[str, str], s: int, seed: int, keys: dict[str, str | list[str]], columns: dict[str, list[str]] | None = None, replacement: bool = True, sizes: dict[str, int] | None = None, method: str = "rank"
 ) -> SampleDB:
     """``s`` draws of every alias. ``keys`` has per table its dense key, or a list of columns in total order.
 
     Only ``columns`` of a table (all by default) and the index are kept. Sizes are counted unless given; a table is
-    counted and, without a dense key, ranked once, however many aliases it has.
+    counted and, without a dense key, ranked once, however many aliases it has. ``method`` is for tables without a dense key:
+    ``rank`` sorts them in parallel and draws the same rows whatever the files; ``partition`` takes rows as the scan gives
+    them, reads the wanted columns alone and moves nothing.
     """
     sizes = dict(sizes or {})
     by_rank: dict[str, DataFrame] = {}
+    if method not in ("rank", "partition"):
+        raise ValueError(f"no such method: {method}")
     tables: dict[str, DataFrame] = {}
     for a, t in aliases.items():
         df = db[t]
@@ -160,7 +168,8 @@ def create_sample(
             sizes[t] = df.count()
         key = keys[t]
         if columns and t in columns:
-            df = df.select(*dict.fromkeys([*columns[t], *([key] if isinstance(key, str) else key)]))
+            order = [key] if isinstance(key, str) else key if method == "rank" or not replacement else []
+            df = df.select(*dict.fromkeys([*columns[t], *order]))
         if sizes[t] == 0:
             tables[a] = df.withColumn(INDEX, F.lit(0).cast("long")).limit(0)
         elif not replacement:
@@ -169,7 +178,7 @@ def create_sample(
             tables[a] = draw_by_key(df, key, sizes[t], s, seed, a)
         else:
             if t not in by_rank:
-                by_rank[t] = ranked(df, key)
+                by_rank[t] = ranked(df, key) if method == "rank" else numbered(placed(df))[0]
             tables[a] = at_positions(by_rank[t], sizes[t], s, seed, a)
     return SampleDB(tables, {a: sizes[t] for a, t in aliases.items()}, s, seed, dict(aliases), replacement=replacement)
 

@@ -65,3 +65,11 @@ def test_joins_with_few_hits_are_taken_from_their_edges(spark, sf_dir):
     truth = P.true_cards(STAR, [pair], db)[pair]
     assert abs(careful[pair] - truth) < 0.5 * truth
     assert abs(careful[pair] - truth) <= abs(trusting[pair] - truth)
+
+
+def test_partition_draws_read_the_wanted_columns_alone(spark, sf_dir):
+    drawn = build.create_sample(bench(spark, sf_dir), {"l": "lineitem"}, 50, 1, SAMPLE_KEYS, {"lineitem": ["l_quantity"]}, method="partition").tables["l"]
+    assert sorted(drawn.columns) == ["l_quantity", "sampleindex"]
+    assert sorted(r["sampleindex"] for r in drawn.collect()) == list(range(1, 51))
+    with pytest.raises(ValueError):
+        build.create_sample({}, {}, 1, 1, {}, method="other")
