@@ -163,7 +163,51 @@ def _mcv(col: str, text: str) -> str:
     return f"(with {_SAMPLE}, s2 as (select {col} as v from s), {_MCV} select '{col}' as col, {text} as value, n from m)"
 
 
+def _part_sample(buckets: int) -> str:
+    """The statistics sample of ``part`` for so many buckets, all rows if the table is smaller."""
+    rows = f"(select ceil(4 * {buckets} * ln(2 * greatest(count(*), 2) / 0.01) / 0.25)::bigint from part)"
+    return f"s as (select * from part order by {u60_sql(SEED, repr('stats'), 'p_partkey')}, p_partkey limit {rows})"
+
+
+def _statistics(col: str, buckets: int, points) -> str:
+    """Statistics of a column of ``s`` and, in ``{col}_at``, the shares at most, equal to and commonly equal to given points."""
+    c, xs = col, ", ".join(f"({float(x)}::double)" for x in points)
+    return f"""
+{c}_n as (select {c}::double as v, count(*) as n from s where {c} is not null group by 1),
+{c}_m as (select v, n / (select sum(n) from {c}_n)::double as f from {c}_n order by {c}_n.n desc, v limit {buckets}),
+{c}_rest as (select greatest(0, 1 - sum(f)) as f from {c}_m),
+{c}_r as (select {c}::double as v, row_number() over (order by {c}) - 1 as k from s where {c} is not null and {c}::double not in (select v from {c}_m)),
+{c}_b as (select j, v from range(0, {buckets + 1}) g(j), {c}_r where k = (j * ((select count(*) from {c}_r) - 1)) // {buckets}),
+{c}_d as (select hi.j, count(distinct r.v) as ndv from {c}_b hi join {c}_b lo on lo.j = hi.j - 1 join {c}_r r on (r.v > lo.v and r.v <= hi.v) or (hi.j = 1 and r.v = lo.v) group by 1),
+{c}_x as (select x, (select max(j) from {c}_b where v <= x) as below, greatest(1, (select count(*) from {c}_b where v < x)) as bucket,
+  coalesce((select sum(f) from {c}_m where v <= x), 0) as common, coalesce((select f from {c}_m where v = x), 0) as same from (values {xs}) p(x)),
+{c}_at as (select x, same, common + (select f from {c}_rest) * case when below is null then 0 when below = {buckets} then 1
+    else (below + coalesce((x - lo.v) / nullif(hi.v - lo.v, 0), 0)) / {buckets} end as le,
+  case when same > 0 then same when below is null or x > (select max(v) from {c}_b) then 0
+    else (select f from {c}_rest) / {buckets} / greatest(1, coalesce((select ndv from {c}_d where j = bucket), 0)) end as eq
+  from {c}_x left join {c}_b lo on lo.j = below left join {c}_b hi on hi.j = below + 1)"""
+
+
+def _comparators(col: str) -> str:
+    shares = {"<": "greatest(0, le - same)", "<=": "le", ">": "1 - le", ">=": "1 - greatest(0, le - same)", "=": "eq", "!=": "1 - eq"}
+    return " union all ".join(f"select '{col} {op}' as query_id, round({share}, 9) as sigma from {col}_at" for op, share in shares.items())
+
+
+def _thresholds(k: int) -> str:
+    return f"with {_part_sample(k)}, {_statistics('p_retailprice', k, range(900, 2100, 100))} select '<= ' || x::int as query_id, round(le, 9) as sigma from p_retailprice_at"
+
+
 ORACLE = {
+    "hist_comparators": f"with {_part_sample(100)}, {_statistics('p_retailprice', 100, [1200])}, {_statistics('p_size', 100, [20])} {_comparators('p_retailprice')} union all {_comparators('p_size')}",
+    "hist_or_rules": f"""with {_part_sample(100)}, {_statistics('p_retailprice', 100, [1000])}, {_statistics('p_size', 100, [40])},
+e as (select a.le as a, 1 - greatest(0, b.le - b.same) as b from p_size_at a, p_retailprice_at b)
+select 'add_capped' as query_id, round(least(1, a + b), 9) as sigma from e union all select 'inclusion_exclusion', round(1 - (1 - a) * (1 - b), 9) from e""",
+    "hist_buckets_100": _thresholds(100),
+    "hist_buckets_1000": _thresholds(1000),
+    "hist_buckets_10000": _thresholds(10000),
+    "multicol_vs_single": f"""with {_part_sample(100)}, f as (select p_brand, p_size from part order by p_partkey limit 1)
+select 'multi' as query_id, round(1 / (select count(*) from (select distinct p_brand, p_size from part))::double, 9) as sigma
+union all select 'single', round((select avg((s.p_brand = f.p_brand)::int) * avg((s.p_size = f.p_size)::int) from s, f), 9)""",
     "stats_sample_orders": f"with {_SAMPLE} select o_orderkey from s",
     "mcv_orders": _mcv("o_custkey", "v::varchar") + " union all " + _mcv("o_orderstatus", "v"),
     "equidepth_orders": _equi("o_totalprice") + " union all " + _equi("o_custkey"),

@@ -96,16 +96,10 @@ def shatter_intervals_small(spark, sf_dir):
 
 
 def projection_counts_supplier(spark, sf_dir):
-    """Distinct subsets of ten suppliers cut out by balance thresholds: eleven prefixes, the growth of dimension 1."""
-    s = spark.read.parquet(f"{sf_dir}/supplier.parquet").where("s_suppkey < 10").select("s_suppkey", "s_acctbal")
-    cuts = s.select(F.col("s_acctbal").alias("cut"))
-    low = F.broadcast(cuts)  # ten rows
-    sets = s.join(low, s.s_acctbal <= low.cut).groupBy("cut").agg(F.sum(F.expr("shiftleft(1L, cast(s_suppkey as int))")).alias("subset"))
-    return sets.agg((F.countDistinct("subset") + 1).alias("subsets"), F.lit(11).cast("long").alias("growth_bound"))
+    """Distinct subsets of the suppliers cut out by balance thresholds: nested prefixes, the growth of dimension 1.
 
-
-def projection_counts_supplier_whole(spark, sf_dir):
-    """The same for all suppliers: the prefixes are nested, so each is known by how many suppliers it holds."""
+    A prefix is known by how many suppliers it holds.
+    """
     from cardest.estimators.exact import key_counts, running_sum
 
     s = spark.read.parquet(f"{sf_dir}/supplier.parquet")
@@ -113,7 +107,7 @@ def projection_counts_supplier_whole(spark, sf_dir):
     return sets.agg((F.countDistinct("upto") + 1).alias("subsets"), F.coalesce(F.sum("n") + 1, F.lit(1)).alias("growth_bound"))
 
 
-QUERIES = {f.__name__: f for f in (bounds_select_grid, bounds_join_grid, bounds_multijoin_grid, bounds_general_grid, bounds_relative_grid, bounds_numeric_grid, bounds_best, bounds_inverse, bounds_union_contrast, storage_alternatives, deterministic_construction, growth_function_grid, shatter_intervals_small, projection_counts_supplier, projection_counts_supplier_whole)}
+QUERIES = {f.__name__: f for f in (bounds_select_grid, bounds_join_grid, bounds_multijoin_grid, bounds_general_grid, bounds_relative_grid, bounds_numeric_grid, bounds_best, bounds_inverse, bounds_union_contrast, storage_alternatives, deterministic_construction, growth_function_grid, shatter_intervals_small, projection_counts_supplier)}
 
 
 def _values(rows) -> str:
@@ -150,12 +144,12 @@ ORACLE = {
     + ") g(u, m, b, mode, cap)",
     "bounds_inverse": "select s::bigint as s, d, round(sqrt(0.5 * (d + ln(20)) / s), 9) as eps from (select unnest([1000, 4000, 16000, 64000]) as s) a, (select unnest([2, 31, 117]) as d) b",
     "bounds_union_contrast": "select q::bigint as queries, ceil(round(ln(2.0 * q / 0.05) / 0.005, 6))::bigint as union_rows, 3000::bigint as class_rows from (select unnest([1, 100, 10000, 1000000]) as q) a",
+    "deterministic_construction": "select d::int as d, eps, round(d / (eps * eps) * ln(d / eps), 6) as size from (select unnest([2, 4]) as d) a, (select unnest([0.1, 0.05])::double as eps) b",
     "storage_alternatives": "select m::bigint as m, pow(10, m)::bigint as histogram_cells, (24000 * (m + 1))::bigint as sample_cells, (m * (m - 1) // 2)::bigint as synopses from range(1, 9) r(m)",
     "growth_function_grid": "select d::int as d, n::int as n, (select sum(factorial(n::int) // (factorial(i::int) * factorial((n - i)::int))) from range(0, 4) s(i) where i <= d and i <= n)::bigint as subsets from range(1, 4) a(d), range(1, 13) b(n)",
     "shatter_intervals_small": """
 with s as (select k, lo, hi from range(1, 6) a(k), range(0, 7) b(lo), range(0, 7) c(hi)),
 bits as (select k, lo, hi, sum(case when p between lo and hi then pow(2, p) else 0 end) as pattern from s, range(1, 6) d(p) where p <= k group by k, lo, hi)
 select k::bigint as k, count(distinct pattern) as subsets, count(distinct pattern) = pow(2, k) as shattered from bits group by k""",
-    "projection_counts_supplier_whole": "with p as (select s_acctbal, sum(count(*)) over (order by s_acctbal) as upto from supplier where s_acctbal is not null group by 1) select count(distinct upto) + 1 as subsets, (select count(s_acctbal) + 1 from supplier) as growth_bound from p",
-    "projection_counts_supplier": "with s as (select * from supplier where s_suppkey < 10), p as (select c.s_acctbal as cut, sum(pow(2, s.s_suppkey)) as sub from s join s c on s.s_acctbal <= c.s_acctbal group by 1) select count(distinct sub) + 1 as subsets, 11::bigint as growth_bound from p",
+    "projection_counts_supplier": "with p as (select s_acctbal, sum(count(*)) over (order by s_acctbal) as upto from supplier where s_acctbal is not null group by 1) select count(distinct upto) + 1 as subsets, (select count(s_acctbal) + 1 from supplier) as growth_bound from p",
 }

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cardest.catalog.common import SAMPLE_KEYS, SEED, bench, derived_ctes, estimate_sql
-from cardest.catalog.estimates import WORKLOADS, exact_counts_sql
+from cardest.catalog.common import SAMPLE_KEYS, SEED, bench, derived_ctes, estimate_sql, sample_sql
+from cardest.catalog.estimates import GRID, WORKLOADS, exact_counts_sql
 from cardest.experiments import metrics as M
 from cardest.experiments import runs as R
 from cardest.experiments import workload as G
@@ -17,6 +20,8 @@ UNIFORM = WORKLOADS["est_select_orders_u_m2_b5"]
 CORRELATED = WORKLOADS["est_select_orders_c_m2_b8"]
 JOIN = WORKLOADS["est_join_uniform_m1_b1"]
 JOIN5 = WORKLOADS["est_join_uniform_m1_b5"]
+#: Classes of selections: columns a query may name, clauses, kind of columns.
+CLASSES = {(m, b, kind): WORKLOADS[f"est_select_orders_{kind[0]}_m{m}_b{b}"] for kind, pairs in (("uniform", GRID), ("correlated", [(2, 2), (2, 5), (2, 8)])) for m, b in pairs}
 
 
 def _uniform(spark, d, buckets=(100,)):
@@ -24,7 +29,7 @@ def _uniform(spark, d, buckets=(100,)):
 
 
 def _correlated(spark, d, buckets=(100,), sizes=None):
-    return R.select_results(spark, bench(spark, d), SAMPLE_KEYS, CORRELATED[0], sizes or [*SIZES, 17000], ["c1", "c2"], buckets)
+    return R.select_results(spark, bench(spark, d), SAMPLE_KEYS, CORRELATED[0], sizes or [*SIZES, 17000], ["c1", "c2"], buckets, steps=True)
 
 
 def fig_select_uniform(spark, d):
@@ -74,6 +79,27 @@ def err_select_correlated(spark, d):
     return M.error_curve(R.with_truth(R.sweep(CORRELATED[0], sdb, [CORRELATED[1]]), CORRELATED[0], db)).select("size", "mean_pct", "sd_pop_pct", "undefined", "queries")
 
 
+def _each_class(spark, d, measure):
+    """A measure for every class (m, b) of selections, each on a sample of its theorem's size."""
+    db = bench(spark, d)
+    parts = []
+    for (m, b, kind), (queries, s) in CLASSES.items():
+        sdb = build.create_sample(db, next(iter(queries.values())).tables, s, SEED, SAMPLE_KEYS)
+        row = measure(R.with_truth(R.sweep(queries, sdb, [s]), queries, db))
+        parts.append(row.select(F.lit(kind).alias("columns"), F.lit(m).alias("m"), F.lit(b).alias("b"), *row.columns))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def violations_select_grid(spark, d):
+    """Violations for every class of selections, independent and correlated columns."""
+    return _each_class(spark, d, lambda r: M.violations(r, EPS))
+
+
+def err_select_grid(spark, d):
+    """Mean and deviation of the percent error for every class of selections."""
+    return _each_class(spark, d, lambda r: M.error_curve(r).select("size", "mean_pct", "sd_pop_pct", "sd_samp_pct", "undefined", "queries"))
+
+
 def violations_join(spark, d):
     """Violations of both estimators on joins with five clauses a side and the selections at their leaves."""
     return M.violations(R.join_results(spark, bench(spark, d), SAMPLE_KEYS, JOIN5[0], [1400, 7800, 19200], ["u1", "jc"]), EPS)
@@ -141,7 +167,7 @@ def workload_correlation(spark, d):
 def refresh_policy(spark, d):
     """Probe estimates of an old and a new sample: the same table asks for nothing, a changed one does."""
     db = bench(spark, d)
-    q = dict(list(UNIFORM[0].items())[:10])
+    q = UNIFORM[0]
 
     def probe(table, seed):
         from cardest.estimators import sample
@@ -157,7 +183,7 @@ def refresh_policy(spark, d):
 
 QUERIES = {
     f.__name__: f
-    for f in (fig_select_uniform, fig_select_correlated, fig_select_correlated_pivot, fig_join, fig_join_zero_rate, fig_bucket_insensitivity, violations_select_uniform, err_select_uniform, err_select_correlated, violations_join, violations_baseline_correlated, wins_select_uniform, q_error_select, failure_rate_seeds, ablation_bound_looseness, sample_footprint, eps_approximation_class, workload_json, workload_correlation, refresh_policy)
+    for f in (fig_select_uniform, fig_select_correlated, fig_select_correlated_pivot, fig_join, fig_join_zero_rate, fig_bucket_insensitivity, violations_select_uniform, err_select_uniform, err_select_correlated, violations_select_grid, err_select_grid, violations_join, violations_baseline_correlated, wins_select_uniform, q_error_select, failure_rate_seeds, ablation_bound_looseness, sample_footprint, eps_approximation_class, workload_json, workload_correlation, refresh_policy)
 }
 
 
@@ -169,7 +195,26 @@ def _curve(work) -> str:
     return f"select size, round(avg(p), 6) as mean_pct, round(stddev_pop(p), 6) as sd_pop_pct, count(*) filter (where p is null) as undefined, count(*) as queries from ({_errors(work)}) z group by size"
 
 
+def _classes(body) -> str:
+    return " union all ".join(f"(select '{kind}' as columns, {m}::int as m, {b}::int as b, x.* from ({body(work)}) x)" for (m, b, kind), work in CLASSES.items())
+
+
+def _violations(work) -> str:
+    return f"select 'index' as estimator, size, count(*) as queries, count(*) filter (where abs(sigma - sigma_true) > 0.05) as violations from ({_errors(work)}) z group by size"
+
+
+def _both_deviations(work) -> str:
+    return f"select size, round(avg(p), 6) as mean_pct, round(stddev_pop(p), 6) as sd_pop_pct, round(stddev_samp(p), 6) as sd_samp_pct, count(*) filter (where p is null) as undefined, count(*) as queries from ({_errors(work)}) z group by size"
+
+
 ORACLE = {
+    "violations_select_grid": _classes(_violations),
+    "err_select_grid": _classes(_both_deviations),
+    "eps_approximation_class": f"""
+with {', '.join([*derived_ctes(['orders_u']), *sample_sql('t', 'orders_u', 1200)])},
+w as (select u1, count(*) as n from orders_u group by 1), p as (select u1, count(*) as m from s_t group by 1),
+c as (select sum(n) over (order by w.u1)::double / sum(n) over () as whole, sum(coalesce(m, 0)) over (order by w.u1)::double / 1200 as part from w left join p on w.u1 = p.u1)
+select round(max(abs(part - whole)), 9) as worst, max(abs(part - whole)) <= 0.05 as is_approximation from c""",
     "workload_correlation": f"with {', '.join(derived_ctes(['orders_c', 'orders_u']))} select (select round(corr(c1, c2), 6) from orders_c) as normal_pair, (select round(corr(u1, u2), 6) from orders_u) as uniform_pair",
     "violations_select_uniform": f"select 'index' as estimator, size, count(*) as queries, count(*) filter (where abs(sigma - sigma_true) > 0.05) as violations from ({_errors(UNIFORM)}) z group by size",
     "err_select_uniform": _curve(UNIFORM),

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cardest.baselines import histogram as H
+from cardest.baselines import others as B
 from cardest.estimators import exact, sample
 from cardest.estimators.counting import batches, hits_array, named_hits
 from cardest.query.ir import Query
@@ -58,13 +59,25 @@ def with_truth(results: DataFrame, queries: dict[str, Query], db) -> DataFrame:
     return stored(results.join(truth, "query_id"), "results")
 
 
-def select_results(spark, db, keys, queries: dict[str, Query], sizes: list[int], columns: list[str], buckets=(100,), seed: int = 42) -> DataFrame:
-    """Sampling at several sizes and baseline A at several bucket counts, over selections of one table."""
+def steps_results(spark, queries: dict[str, Query], df: DataFrame, columns: list[str], key: str, steps: int = 200) -> DataFrame:
+    """Baseline B over selections of one table, with single-column statistics and with the columns' joint density too."""
+    (alias,) = next(iter(queries.values())).tables
+    density = B.multi_column_density(df, [tuple(columns)]).first()  # one row
+    base = B.BaselineB(H.build(df, columns, [key], H.HistogramConfig(steps)), {frozenset(columns): density["ndv"]})
+    kinds = {"steps_multi": base, "steps_single": base.single()}
+    rows = [(n, kind, steps, 0, float(b.selectivity(q.selections[alias]))) for kind, b in kinds.items() for n, q in queries.items()]
+    return spark.createDataFrame(rows, RESULTS)
+
+
+def select_results(spark, db, keys, queries: dict[str, Query], sizes: list[int], columns: list[str], buckets=(100,), seed: int = 42, steps: bool = False) -> DataFrame:
+    """Sampling at several sizes, baseline A at several bucket counts and, if asked for, baseline B, over selections of one table."""
     ((a, t),) = next(iter(queries.values())).tables.items()
     sdb = build.create_sample(db, {a: t}, max(sizes), seed, keys)
     parts = [sweep(queries, sdb, sizes)]
     for k in buckets:
         parts.append(histogram_results(spark, queries, {a: H.build(db[t], columns, [keys[t]], H.HistogramConfig(k))}, k))
+    if steps:
+        parts.append(steps_results(spark, queries, db[t], columns, keys[t]))
     return with_truth(reduce(DataFrame.unionByName, parts), queries, db)
 
 

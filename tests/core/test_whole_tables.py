@@ -6,7 +6,7 @@ import pytest
 from cardest import catalog
 from cardest import operators as O
 
-NAMES = ["op_join_left_whole", "op_join_right_whole", "op_join_full_whole", "op_join_theta_whole", "op_range_join_whole", "projection_counts_supplier_whole"]
+NAMES = ["op_join_left", "op_join_right", "op_join_full", "op_join_theta", "op_range_join", "op_range_join_counts", "projection_counts_supplier"]
 
 
 @pytest.mark.parametrize("name", NAMES)
