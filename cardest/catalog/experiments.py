@@ -79,25 +79,22 @@ def err_select_correlated(spark, d):
     return M.error_curve(R.with_truth(R.sweep(CORRELATED[0], sdb, [CORRELATED[1]]), CORRELATED[0], db)).select("size", "mean_pct", "sd_pop_pct", "undefined", "queries")
 
 
-def _each_class(spark, d, measure):
-    """A measure for every class (m, b) of selections, each on a sample of its theorem's size."""
-    db = bench(spark, d)
-    parts = []
-    for (m, b, kind), (queries, s) in CLASSES.items():
-        sdb = build.create_sample(db, next(iter(queries.values())).tables, s, SEED, SAMPLE_KEYS)
-        row = measure(R.with_truth(R.sweep(queries, sdb, [s]), queries, db))
-        parts.append(row.select(F.lit(kind).alias("columns"), F.lit(m).alias("m"), F.lit(b).alias("b"), *row.columns))
-    return reduce(DataFrame.unionByName, parts)
-
-
-def violations_select_grid(spark, d):
-    """Violations for every class of selections, independent and correlated columns."""
-    return _each_class(spark, d, lambda r: M.violations(r, EPS))
-
-
-def err_select_grid(spark, d):
-    """Mean and deviation of the percent error for every class of selections."""
-    return _each_class(spark, d, lambda r: M.error_curve(r).select("size", "mean_pct", "sd_pop_pct", "sd_samp_pct", "undefined", "queries"))
+def measures_select_grid(spark, d):
+    """Violations and percent errors for every class (m, b) of selections, each at its theorem's size.
+
+    One sample and one exact pass for each kind of columns; the sample of a class is a prefix of the largest.
+    """
+    db, by, parts = bench(spark, d), ("columns", "m", "b", "size"), []
+    for kind in ("uniform", "correlated"):
+        classes = {f"m{m}_b{b}": (m, b, *work) for (m, b, k), work in CLASSES.items() if k == kind}
+        queries = {f"{c}/{n}": q for c, (_, _, qs, _) in classes.items() for n, q in qs.items()}
+        sizes = sorted({s for *_, s in classes.values()})
+        sdb = build.create_sample(db, next(iter(queries.values())).tables, sizes[-1], SEED, SAMPLE_KEYS)
+        wanted = spark.createDataFrame([(c, kind, m, b, s) for c, (m, b, _, s) in classes.items()], "class string, columns string, m int, b int, size long")
+        results = R.with_truth(R.sweep(queries, sdb, sizes), queries, db).withColumn("class", F.substring_index("query_id", "/", 1))
+        parts.append(results.join(F.broadcast(wanted), ["class", "size"]))  # one row a class
+    results = reduce(DataFrame.unionByName, parts)
+    return M.violations(results, EPS, by).join(M.error_curve(results, by).drop("queries"), list(by))
 
 
 def violations_join(spark, d):
@@ -183,7 +180,7 @@ def refresh_policy(spark, d):
 
 QUERIES = {
     f.__name__: f
-    for f in (fig_select_uniform, fig_select_correlated, fig_select_correlated_pivot, fig_join, fig_join_zero_rate, fig_bucket_insensitivity, violations_select_uniform, err_select_uniform, err_select_correlated, violations_select_grid, err_select_grid, violations_join, violations_baseline_correlated, wins_select_uniform, q_error_select, failure_rate_seeds, ablation_bound_looseness, sample_footprint, eps_approximation_class, workload_json, workload_correlation, refresh_policy)
+    for f in (fig_select_uniform, fig_select_correlated, fig_select_correlated_pivot, fig_join, fig_join_zero_rate, fig_bucket_insensitivity, violations_select_uniform, err_select_uniform, err_select_correlated, measures_select_grid, violations_join, violations_baseline_correlated, wins_select_uniform, q_error_select, failure_rate_seeds, ablation_bound_looseness, sample_footprint, eps_approximation_class, workload_json, workload_correlation, refresh_policy)
 }
 
 
@@ -199,17 +196,12 @@ def _classes(body) -> str:
     return " union all ".join(f"(select '{kind}' as columns, {m}::int as m, {b}::int as b, x.* from ({body(work)}) x)" for (m, b, kind), work in CLASSES.items())
 
 
-def _violations(work) -> str:
-    return f"select 'index' as estimator, size, count(*) as queries, count(*) filter (where abs(sigma - sigma_true) > 0.05) as violations from ({_errors(work)}) z group by size"
-
-
-def _both_deviations(work) -> str:
-    return f"select size, round(avg(p), 6) as mean_pct, round(stddev_pop(p), 6) as sd_pop_pct, round(stddev_samp(p), 6) as sd_samp_pct, count(*) filter (where p is null) as undefined, count(*) as queries from ({_errors(work)}) z group by size"
+def _measures(work) -> str:
+    return f"select size, count(*) as queries, count(*) filter (where abs(sigma - sigma_true) > 0.05) as violations, round(avg(p), 6) as mean_pct, round(stddev_pop(p), 6) as sd_pop_pct, round(stddev_samp(p), 6) as sd_samp_pct, count(*) filter (where p is null) as undefined from ({_errors(work)}) z group by size"
 
 
 ORACLE = {
-    "violations_select_grid": _classes(_violations),
-    "err_select_grid": _classes(_both_deviations),
+    "measures_select_grid": _classes(_measures),
     "eps_approximation_class": f"""
 with {', '.join([*derived_ctes(['orders_u']), *sample_sql('t', 'orders_u', 1200)])},
 w as (select u1, count(*) as n from orders_u group by 1), p as (select u1, count(*) as m from s_t group by 1),

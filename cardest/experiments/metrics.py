@@ -28,15 +28,15 @@ def with_errors(results: DataFrame, eps: float) -> DataFrame:
     return results.withColumn("abs_err", abs_error()).withColumn("pct_err", percent_error()).withColumn("within", abs_error() <= eps)
 
 
-def violations(results: DataFrame, eps: float) -> DataFrame:
+def violations(results: DataFrame, eps: float, by: tuple[str, ...] = ("estimator", "size")) -> DataFrame:
     """``estimator, size, queries, violations``."""
-    return results.groupBy("estimator", "size").agg(F.count("*").alias("queries"), F.count_if(abs_error() > eps).alias("violations"))
+    return results.groupBy(*by).agg(F.count("*").alias("queries"), F.count_if(abs_error() > eps).alias("violations"))
 
 
-def error_curve(results: DataFrame) -> DataFrame:
+def error_curve(results: DataFrame, by: tuple[str, ...] = ("estimator", "size")) -> DataFrame:
     """Mean and both standard deviations of the percent error, with how many were undefined, per estimator and size."""
     p = percent_error()
-    return results.groupBy("estimator", "size").agg(
+    return results.groupBy(*by).agg(
         F.round(F.avg(p), 6).alias("mean_pct"), F.round(F.stddev_pop(p), 6).alias("sd_pop_pct"), F.round(F.stddev_samp(p), 6).alias("sd_samp_pct"), F.count_if(p.isNull()).alias("undefined"), F.count("*").alias("queries")
     )
 
