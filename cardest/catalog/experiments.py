@@ -88,10 +88,10 @@ def measures_select_grid(spark, d):
     for kind in ("uniform", "correlated"):
         classes = {f"m{m}_b{b}": (m, b, *work) for (m, b, k), work in CLASSES.items() if k == kind}
         queries = {f"{c}/{n}": q for c, (_, _, qs, _) in classes.items() for n, q in qs.items()}
-        sizes = sorted({s for *_, s in classes.values()})
-        sdb = build.create_sample(db, next(iter(queries.values())).tables, sizes[-1], SEED, SAMPLE_KEYS)
+        sdb = build.create_sample(db, next(iter(queries.values())).tables, max(s for *_, s in classes.values()), SEED, SAMPLE_KEYS).kept()
         wanted = spark.createDataFrame([(c, kind, m, b, s) for c, (m, b, _, s) in classes.items()], "class string, columns string, m int, b int, size long")
-        results = R.with_truth(R.sweep(queries, sdb, sizes), queries, db).withColumn("class", F.substring_index("query_id", "/", 1))
+        swept = [R.sweep({f"{c}/{n}": q for n, q in qs.items()}, sdb, [s]) for c, (_, _, qs, s) in classes.items()]
+        results = R.with_truth(reduce(DataFrame.unionByName, swept), queries, db).withColumn("class", F.substring_index("query_id", "/", 1))
         parts.append(results.join(F.broadcast(wanted), ["class", "size"]))  # one row a class
     results = reduce(DataFrame.unionByName, parts)
     return M.violations(results, EPS, by).join(M.error_curve(results, by).drop("queries"), list(by))
