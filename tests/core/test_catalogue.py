@@ -5,7 +5,7 @@ import pytest
 
 from cardest import catalog
 
-NAMES = ["est_select_lineitem", "est_join_le_customer_supplier", "est_cross_ne", "exact_join_gt", "mcv_orders", "equidepth_orders", "op_asof_join", "op_range_join", "stream_reservoir", "violations_select_uniform"]
+NAMES = ["est_select_lineitem", "est_join_le_customer_supplier", "est_cross_ne", "exact_join_gt", "mcv_orders", "equidepth_orders", "op_asof_join", "op_range_join", "stream_reservoir", "violations_select_uniform", "hist_comparators", "hist_or_rules", "hist_buckets_1000", "multicol_vs_single", "eps_approximation_class"]
 
 
 @pytest.mark.parametrize("name", NAMES)
