@@ -25,3 +25,11 @@ def test_no_broadcast_is_larger_than_its_bound(spark, monkeypatch):
     right = spark.range(2000).select(F.col("id").alias("j"))
     O.broadcast_join(spark.range(50), right, "id", "j", lambda j: j.select("j"), 100)
     assert sum(sizes) == 2000 and max(sizes) <= 160
+
+
+def test_appended_rows_go_to_files_not_to_the_driver(spark, sf_dir):
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    stream = S.read_events(spark, S.as_files(events), events.schema)
+    out = S.drain(stream.select("event_id", "value"), "append", "appended_rows")
+    assert out.inputFiles() and not spark.catalog.tableExists("appended_rows")
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, events.select("event_id", "value").collect()))
