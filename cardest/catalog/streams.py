@@ -31,7 +31,8 @@ def _windowed(kind):
 
 def stream_dedup(spark, d):
     """Every event arrives twice and is kept once."""
-    out = S.drain(S.dedup(S.prepare(_stream(spark, d, twice=True), "60 days"), ["event_id"]), "append", _name("dedup"))
+    arrivals = S.prepare(_stream(spark, d, twice=True), "60 days").select("at", "event_id", "event_type")
+    out = S.drain(S.dedup(arrivals, ["event_id"]), "append", _name("dedup"))
     return out.groupBy("event_type").agg(F.count("*").alias("n"))
 
 
