@@ -1,5 +1,7 @@
 """Joins and streams whose sides are too large for the driver: in parts, through files, without pairs."""
 
+import math
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -33,3 +35,29 @@ def test_appended_rows_go_to_files_not_to_the_driver(spark, sf_dir):
     out = S.drain(stream.select("event_id", "value"), "append", "appended_rows")
     assert out.inputFiles() and not spark.catalog.tableExists("appended_rows")
     assert sorted(map(tuple, out.collect())) == sorted(map(tuple, events.select("event_id", "value").collect()))
+
+
+VALUES = [0.0, 1.0, 1.0, 1.25, 1.5, 1.5001, 2.0, 2.5, 7.0, 0.999, None, math.nan, math.inf]
+SPANS = [(1, 1.0, 1.5), (2, 1.0, 1.5), (3, 2.0, 2.5), (4, 9.0, 9.5), (5, 2.0, 1.0), (6, None, 3.0), (7, 0.0, 7.0), (7, 7.0, 7.0)]
+
+
+def _range_data(spark):
+    inside = [(v, s) for v in VALUES for s, lo, hi in SPANS if v is not None and lo is not None and lo <= v <= hi]
+    return spark.createDataFrame([(v,) for v in VALUES], "v double"), spark.createDataFrame(SPANS, "s int, lo double, hi double"), inside
+
+
+def test_range_counts_equal_brute_force_and_form_no_pair(spark):
+    points, spans, inside = _range_data(spark)
+    got = O.range_counts(points, spans, "v", "lo", "hi", "n").groupBy("s").agg(F.sum("n").alias("n"))
+    assert {r["s"]: r["n"] for r in got.collect()} == {s: sum(1 for _, x in inside if x == s) for _, s in inside}
+    many = O.range_counts(spark.range(200_000).select(F.lit(1.0).alias("v")), spark.range(200_000).select("id", F.lit(1.0).alias("lo"), F.lit(1.5).alias("hi")), "v", "lo", "hi", "n")
+    assert many.agg(F.sum("n")).first()[0] == 200_000**2  # pairs would take minutes
+
+
+def test_event_leaves_its_other_columns_before_the_state(spark, sf_dir, monkeypatch):
+    seen, dedup = [], S.dedup
+    monkeypatch.setattr(S, "dedup", lambda stream, keys: (seen.append(stream.columns), dedup(stream, keys))[1])
+    from cardest.catalog import QUERIES
+
+    n = QUERIES["stream_dedup"](spark, sf_dir).agg(F.sum("n")).first()[0]
+    assert seen == [["at", "event_id", "event_type"]] and n == spark.read.parquet(f"{sf_dir}/events.parquet").count()
