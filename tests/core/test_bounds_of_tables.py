@@ -8,7 +8,7 @@ from cardest.catalog import ORACLE, QUERIES
 from cardest.query import QueryClass
 from cardest.theory import capacity as K
 
-NAMES = ["select_grid", "join_grid", "multijoin_grid", "general_grid", "relative_grid", "numeric_grid", "inverse"]
+NAMES = ["select_grid", "join_grid", "multijoin_grid", "general_grid", "relative_grid", "numeric_grid", "inverse", "union_contrast"]
 
 
 @pytest.mark.parametrize("name", [f"bounds_{n}" for n in NAMES] + [])
