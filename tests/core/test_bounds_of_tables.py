@@ -11,7 +11,7 @@ from cardest.theory import capacity as K
 NAMES = ["select_grid", "join_grid", "multijoin_grid", "general_grid", "relative_grid", "numeric_grid", "inverse", "union_contrast"]
 
 
-@pytest.mark.parametrize("name", [f"bounds_{n}" for n in NAMES] + ["deterministic_construction"])
+@pytest.mark.parametrize("name", [f"bounds_{n}" for n in NAMES] + ["deterministic_construction", "growth_function_grid"])
 def test_reads_a_table_and_equals_sql(spark, sf_dir, name):
     got = QUERIES[name](spark, sf_dir)
     assert any(f.endswith(("lineitem.parquet", "orders.parquet")) or "lineitem" in f or "orders" in f for f in got.inputFiles())
