@@ -20,7 +20,7 @@ from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 from functools import cached_property, lru_cache
 from hashlib import md5
-from itertools import groupby, product
+from itertools import chain, groupby, product, repeat
 from operator import itemgetter
 from zlib import crc32
 
@@ -72,7 +72,13 @@ _SHORTS = re.compile(rf"(?<![^\W_])(?<![{_SIGN}]){_SHORT}(?:{_GAP}{_SHORT})+")
 _FOREIGN = frozenset(c for c in map(chr, range(128, 0x110000)) if c.isdecimal())
 _RUNS = rf"[\w{_SIGN}]"
 _PLAIN_FRAGMENT = re.compile(rf"{_RUNS}+")
-_PLAIN_SHORTS = re.compile(rf"(?<!{_RUNS}){_RUNS}{{1,3}}(?!{_RUNS})(?:[^\w{_SIGN}]{{1,3}}{_RUNS}{{1,3}}(?!{_RUNS}))+")
+#: Possessive: no shorter stretch of one kind could be followed by the other.
+_PLAIN_SHORTS = re.compile(rf"(?<!{_RUNS}){_RUNS}{{1,3}}+[^\w{_SIGN}]{{1,3}}+{_RUNS}{{1,3}}+(?!{_RUNS})(?:[^\w{_SIGN}]{{1,3}}+{_RUNS}{{1,3}}+(?!{_RUNS}))*+")
+#: What parts words, and parts fragments of plain texts.
+_BREAK = re.compile(r"[\W\d_]")
+_PLAIN_BREAK = re.compile(rf"[^\w{_SIGN}]")
+#: Different breaks in a text up to which each is replaced at once; a text with more is searched by character.
+BREAKS = 64
 #: Longest token or run whose reading is remembered, so that a number of entries is a number of bytes.
 REMEMBERED = 64
 #: Fragments that one word may be written in.
@@ -88,6 +94,19 @@ def word_key(spelled: bytes) -> int:
     return int.from_bytes(md5(spelled).digest()[:8], "big", signed=True)
 
 
+def pieces(text: str, whole: re.Pattern, breaks: re.Pattern) -> set[str]:
+    """Distinct matches of ``whole``, which is one or more characters outside ``breaks``; white space is among the breaks.
+
+    Only the distinct characters are classed, so the cost a character is that of a replacement and a split.
+    """
+    found = breaks.findall("".join(set(text)))
+    if len(found) > BREAKS:
+        return set(whole.findall(text))
+    for c in found:
+        text = text.replace(c, " ")
+    return set(text.split())
+
+
 class Lexicon:
     """Log probabilities of known words: sorted keys and one number each, behind a table of short hashes, since most words
     that are asked for are not known. About 20 to 28 bytes a word."""
@@ -387,10 +406,10 @@ class Restorer:
         """Distinct words in lower case, as written and as restored."""
         text = (text or "").lower()
         if not (text.isascii() or _FOREIGN.isdisjoint(set(text))):
-            fragment, shorts = _FRAGMENT, _SHORTS
+            found, shorts = set(_FRAGMENT.findall(text)), _SHORTS
         else:
-            text, fragment, shorts = text.replace("_", " "), _PLAIN_FRAGMENT, _PLAIN_SHORTS
-        found = set(fragment.findall(text))
+            text, shorts = text.replace("_", " "), _PLAIN_SHORTS
+            found = pieces(text, _PLAIN_FRAGMENT, _PLAIN_BREAK)
         for token in found - self.plain:
             word = self.read(token)
             if token.isalpha():
@@ -489,15 +508,18 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         plain, seen, toxic, n = Counter(), Counter(), Counter(), [0, 0]
 
         def rows() -> pd.DataFrame:
-            out = [*((w, k, 0, True) for w, k in plain.items()), *((f, k, toxic[f], False) for f, k in seen.items()), ("", n[0] + n[1], n[1], False)]
+            found = [*plain, *seen, ""]
+            counts = np.fromiter(chain(plain.values(), seen.values(), [n[0] + n[1]]), "int64", len(found))
+            hits = np.fromiter(chain(repeat(0, len(plain)), map(toxic.__getitem__, seen), [n[1]]), "int64", len(found))
+            out = pd.DataFrame({"feature": found, "n": counts, "toxic": hits, "plain": np.arange(len(found)) < len(plain)})
             for c in (plain, seen, toxic):
                 c.clear()
             n[:] = 0, 0
-            return pd.DataFrame(out, columns=["feature", "n", "toxic", "plain"])
+            return out
 
         for b in batches:
             for text, y in zip(b["text"], b["y"].tolist(), strict=True):
-                found = set(_WORD.findall((text or "").lower()))
+                found = pieces((text or "").lower(), _WORD, _BREAK)
                 plain.update(found)
                 if y == y and y is not None:
                     found = {f for w in found if len(w) <= 64 for f in features(w)}
