@@ -54,6 +54,31 @@ def test_range_counts_equal_brute_force_and_form_no_pair(spark):
     assert many.agg(F.sum("n")).first()[0] == 200_000**2  # pairs would take minutes
 
 
+@pytest.mark.parametrize("pairs, block, beside", [(1 << 27, 252, 128), (40, 2, 3), (1, 1, 1)])
+def test_range_join_equals_brute_force_however_it_is_cut(spark, pairs, block, beside):
+    points = [(k, v) for k, v in enumerate(VALUES * 5)] + [(900, 1.25)] * 9 + [(None, 2.0)]
+    spans = [(s, lo, hi, None if s == 2 else f"n{s}") for s, lo, hi in SPANS * 4] + [(None, 1.0, 1.5, "x"), (8, -0.5, 0.5, "y")]
+    p, s = spark.createDataFrame(points, "k int, v double"), spark.createDataFrame(spans, "s int, lo double, hi double, name string")
+    for columns in (["s", "lo", "hi", "name"], ["lo", "s", "hi"], ["lo", "hi"]):
+        got = O.range_join(p, s.select(columns), "v", "lo", "hi", 1.0, pairs, block, beside)
+        rows = [dict(zip(("s", "lo", "hi", "name"), x, strict=True)) for x in spans]
+        want = [(k, v, *(x[c] for c in columns)) for k, v in points for x in rows if v is not None and x["lo"] is not None and x["lo"] <= v <= x["hi"]]
+        assert got.columns == ["k", "v", *columns] and sorted(map(repr, map(tuple, got.collect()))) == sorted(map(repr, want))
+    assert O.range_join(p.where("false"), s, "v", "lo", "hi", 1.0, pairs, block, beside).count() == 0
+
+
+def test_pairs_of_a_range_join_are_small_on_disk(spark, tmp_path):
+    points = spark.range(300).select("id", F.lit(1.25).alias("v"))
+    spans = spark.range(20_000).select((F.col("id") * 7919 % 20_011).alias("s"), F.lit(1.0).alias("lo"), F.lit(1.5).alias("hi"))
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")  # as with large sides
+    try:
+        O.range_join(points, spans, "v", "lo", "hi", 1.0).select("id", "s").write.parquet(str(tmp_path / "out"))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert spark.read.parquet(str(tmp_path / "out")).count() == 6_000_000
+    assert sum(x.stat().st_size for x in (tmp_path / "out").glob("*.parquet")) < 6_000_000 * 0.3  # bytes a pair
+
+
 def test_event_leaves_its_other_columns_before_the_state(spark, sf_dir, monkeypatch):
     seen, dedup = [], S.dedup
     monkeypatch.setattr(S, "dedup", lambda stream, keys: (seen.append(stream.columns), dedup(stream, keys))[1])
