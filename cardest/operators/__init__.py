@@ -85,7 +85,8 @@ def range_join(points: DataFrame, spans: DataFrame, point: str, lo: str, hi: str
     Points of a bin travel in lists of about ``beside``, equal spans in lists of at most ``block``, and the pairs of two lists
     come out one after another, point by point: a page of a columnar file then repeats a short list of spans, which its
     encoding and compression store once. A bin is cut into cells of about ``pairs`` candidates and ``SIDE_BLOCKS`` full lists
-    of spans at most; rows go to lists and cells by a hash of all their columns.
+    of spans at most; rows go to lists and cells by a hash of all their columns. The points of a list are checked before they
+    leave it: Spark then hands on the pairs of one point at a time, where one generated loop over both lists kept them all.
     """
     rest = [c for c in spans.columns if c not in (lo, hi)] or [lo]
     p = points.select(F.struct(*points.columns).alias("__p"), F.floor(F.col(point) / F.lit(width)).alias("__bin"))
@@ -106,7 +107,8 @@ def range_join(points: DataFrame, spans: DataFrame, point: str, lo: str, hi: str
     if total > pairs:  # as many tasks as make about ``pairs`` candidates each; merged by their bytes, a few tasks would make all
         p, s = (x.repartition(math.ceil(total / pairs), "__bin", "__i", "__j") for x in (p, s))
     both = join(p, s, ["__bin", "__i", "__j"], strategy="merge")  # reads one list of points at a time, whichever side is small
-    inside = both.select(F.explode("__points").alias("__p"), lo, hi, "__spans").where((F.col("__p")[point] >= F.col(lo)) & (F.col("__p")[point] <= F.col(hi)))
+    within = F.filter("__points", lambda x: (x[point] >= F.col(lo)) & (x[point] <= F.col(hi)))
+    inside = both.select(F.explode(within).alias("__p"), lo, hi, "__spans")
     ends = [F.col(c) for c in (lo, hi) if c not in rest]
     if len(rest) == 1:
         inside = inside.select("__p", *ends, F.explode(F.col("__spans")[rest[0]]).alias(rest[0]))

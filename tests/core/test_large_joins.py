@@ -1,6 +1,7 @@
 """Joins and streams whose sides are too large for the driver: in parts, through files, without pairs."""
 
 import math
+import re
 
 import pytest
 from pyspark.sql import functions as F
@@ -79,6 +80,17 @@ def test_pairs_of_a_range_join_are_small_on_disk(spark, tmp_path):
     assert sum(x.stat().st_size for x in (tmp_path / "out").glob("*.parquet")) < 6_000_000 * 0.3  # bytes a pair
 
 
+def test_generated_code_loops_over_one_list_of_a_range_join(spark):
+    points = spark.range(300).select("id", F.lit(1.25).alias("v"))
+    spans = spark.range(500).select(F.col("id").alias("s"), F.lit(1.0).alias("lo"), F.lit(1.5).alias("hi"))
+    for columns in (["s", "lo", "hi"], ["lo", "hi"]):
+        out = O.range_join(points, spans.select(columns), "v", "lo", "hi", 1.0)
+        assert len(out.collect()) == 150_000
+        final = out._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+        stages = re.findall(r"(?:\*\s?\((\d+)\) )?Generate explode\(", final.split("SortMergeJoin")[0])
+        assert len(stages) == 2 and len(set(stages)) == 2  # both in one stage keep the pairs of two lists in memory
+
+
 def test_event_leaves_its_other_columns_before_the_state(spark, sf_dir, monkeypatch):
     seen, dedup = [], S.dedup
     monkeypatch.setattr(S, "dedup", lambda stream, keys: (seen.append(stream.columns), dedup(stream, keys))[1])
